@@ -6,14 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from motifmill.llm import quality, sharding, simhash
+from motifmill.llm import bpe, quality, sharding, simhash, sstable
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op3_quality_rules": quality.op3_quality_rules,
+        "op4_bpe": bpe.op4_bpe,
         "op8_simhash": simhash.op8_simhash,
         "op9_ring_sharding": sharding.op9_ring_sharding,
+        "op10_token_shards": sstable.op10_token_shards,
     }
 
 
