@@ -6,13 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from motifmill.llm import bpe, quality, sharding, simhash, sstable
+from motifmill.llm import bpe, decontaminate, pii, quality, sharding, simhash, sstable
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op3_quality_rules": quality.op3_quality_rules,
         "op4_bpe": bpe.op4_bpe,
+        "op5_pii": pii.op5_pii,
+        "op6_decontaminate": decontaminate.op6_decontaminate,
         "op8_simhash": simhash.op8_simhash,
         "op9_ring_sharding": sharding.op9_ring_sharding,
         "op10_token_shards": sstable.op10_token_shards,
