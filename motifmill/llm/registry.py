@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from motifmill.llm import bpe, decontaminate, pii, quality, sharding, simhash, sstable
+from motifmill.llm import bpe, decontaminate, pii, quality, sharding, simhash, sstable, substrings
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -15,6 +15,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_bpe": bpe.op4_bpe,
         "op5_pii": pii.op5_pii,
         "op6_decontaminate": decontaminate.op6_decontaminate,
+        "op7_substrings": substrings.op7_substrings,
         "op8_simhash": simhash.op8_simhash,
         "op9_ring_sharding": sharding.op9_ring_sharding,
         "op10_token_shards": sstable.op10_token_shards,
@@ -22,4 +23,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_quality_rules": quality.OP3_SQL}
+    return {"op3_quality_rules": quality.OP3_SQL, "op7_substrings": substrings.OP7_SQL}
