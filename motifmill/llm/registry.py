@@ -6,11 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from motifmill.llm import bpe, decontaminate, pii, quality, sharding, simhash, sstable, substrings
+from motifmill.llm import bpe, chat, decontaminate, licenses, pii, quality, sharding, simhash, sstable, substrings
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_license_scan": licenses.op1_license_scan,
+        "op2_chat_format": chat.op2_chat_format,
         "op3_quality_rules": quality.op3_quality_rules,
         "op4_bpe": bpe.op4_bpe,
         "op5_pii": pii.op5_pii,
@@ -23,4 +25,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_quality_rules": quality.OP3_SQL, "op7_substrings": substrings.OP7_SQL}
+    return {"op1_license_scan": licenses.OP1_SQL, "op3_quality_rules": quality.OP3_SQL, "op7_substrings": substrings.OP7_SQL}
