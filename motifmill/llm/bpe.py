@@ -21,24 +21,35 @@ from __future__ import annotations
 
 import os
 import re
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from motifmill.llm.words import raw_texts, slices
+from motifmill.llm.words import byte_slices, raw_texts, slices
 
 #: Characters of unsplit text from which the tree is used, and of its leaves.
 LONG, LEAF = 8192, 2048
-#: Pieces whose ids a worker keeps.
-MEMO = 1_000_000
+#: Bytes of text that are split and looked up at once.
+SLICE_BYTES = 4 << 20
+#: Pieces in a generation of a worker's memo.
+MEMO = 200_000
 #: White space of Unicode, fixed values.
 WHITE = [*range(0x09, 0x0E), *range(0x1C, 0x21), 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
-UNSAFE = [(chr(c) + " ").encode() for c in WHITE]
+UNSAFE = [(chr(c) + " ").encode() for c in WHITE if c > 0x7F]
+ASCII_WHITE = bytes(0x0A if c in WHITE and c < 0x20 else c for c in range(256))
+STOPS = (b".", b",", b";", b":", b"!", b"?")
+
+LATIN_END = "\u0250"
+#: Characters that stand for bytes in byte-level vocabularies: printable ones for themselves, the rest from U+0100 on.
+_PRINTABLE = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+BYTE_CHARS = {b: chr(0x100 + k) for k, b in enumerate(b for b in range(256) if b not in _PRINTABLE)}
 
 
 class Span:
@@ -63,54 +74,127 @@ class Codec:
         self.split_special = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         ids = lambda x: self.tok.encode(x, add_special_tokens=False).ids
         self.lead_space = ids(" b") != ids("b")
-        self.memo: dict[bytes, bytes] = {}
+        self.memo: dict[bytes | tuple[bytes], bytes] = {}
+        self.older: dict[bytes | tuple[bytes], bytes] = {}
+        self.model = self.tok.model
+        lead = " " if self.lead_space else ""
+        probes = [lead + w for w in ("a", "Word", "\u00e9t\u00c9", "\u00df\u0131", "\u017f\u00aa", "\u01c5don")]
+        alone = lambda w: [t for t, _ in self.tok.pre_tokenizer.pre_tokenize_str(self.tok.normalizer.normalize_str(w) if self.tok.normalizer else w)]
+        form = lambda w: (w if self.lead_space else w.lower()).encode().decode("latin-1").translate(BYTE_CHARS)
+        self.words_alone = self.tok.pre_tokenizer is not None and all(alone(w) == [form(w)] for w in probes)
+        self.stops = {x: np.array(ids(x.decode()), dtype="<u4").tobytes() for x in STOPS}
         self.tokens = [self.tok.id_to_token(i) or "" for i in range(self.tok.get_vocab_size(with_added_tokens=True))]
         self.plain = self.tok.decoder is None
 
     # -- encoding -----------------------------------------------------------
 
-    def pieces(self, text: bytes) -> list[bytes]:
-        """Stretches of a text whose ids do not depend on each other; their ids in order are the text's."""
-        if not self.lead_space:
-            return text.split()
-        if any(x in text for x in UNSAFE):  # a run of white space stays in one piece
-            return [x.encode() for x in re.split(r"(?<=\S)(?= )", text.decode())]
-        first, *rest = text.split(b" ")
-        return [first, *[b" " + x for x in rest]]
+    def safe(self, text: bytes) -> bool:
+        """Whether every space of a text begins a new piece: none follows other white space."""
+        if b"  " in text or b"\n " in text.translate(ASCII_WHITE):
+            return False
+        return text.isascii() or not any(x in text for x in UNSAFE)
+
+    def encode_column(self, column: pa.Array) -> pa.ListArray:
+        """Ids of each text of a string column; null texts have none.
+
+        A column is split and its distinct pieces are numbered by Arrow; the memo is asked once for each distinct piece.
+        """
+        texts = pc.fill_null(column.cast(pa.string()), "")
+        lists = pc.split_pattern(texts, " ") if self.lead_space else pc.ascii_split_whitespace(texts)
+        codes = lists.flatten().dictionary_encode()
+        ends = np.append(0, np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False)))
+        at, keys = codes.indices.to_numpy(zero_copy_only=False).astype(np.int64), codes.dictionary.cast(pa.binary()).to_pylist()
+        odd: dict[int, bytes] = {}
+        if self.lead_space:
+            # the first piece of a text has no space before it; texts with runs of white space are cut elsewhere
+            firsts = [(x,) for x in pc.list_element(lists, 0).cast(pa.binary()).to_pylist()] if len(lists) else []
+            at = at.copy()
+            at[ends[:-1]] = len(keys) + np.arange(len(firsts))
+            keys += firsts
+            raw = raw_texts(texts)
+            odd = {k: self.encode_unsplit(x.decode()) for k, x in enumerate(raw) if not self.safe(x)}
+        ids = self._look_up(keys)
+        size = np.array([len(x) >> 2 for x in ids], dtype=np.int64)
+        flat, start = np.frombuffer(b"".join(ids), dtype="<i4"), np.append(0, np.cumsum(size))
+        count = size[at]
+        total = np.append(0, np.cumsum(count))
+        place = np.repeat((start[at] - total[:-1]).astype(np.int32), count)
+        place += np.arange(total[-1], dtype=np.int32)
+        values = flat[place]
+        bounds = total[ends]
+        if odd:
+            parts = [np.frombuffer(odd[k], dtype="<i4") if k in odd else values[bounds[k] : bounds[k + 1]] for k in range(len(bounds) - 1)]
+            values, bounds = np.concatenate(parts), np.append(0, np.cumsum([len(x) for x in parts]))
+        return pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(values, pa.int32()))
+
+    def _look_up(self, keys: list) -> list[bytes]:
+        """Id bytes of distinct pieces; for byte-level tokenizers a piece comes after a space unless it is in a tuple."""
+        if len(self.memo) > MEMO:  # two generations: what is asked for again moves to the new one
+            self.memo, self.older = {}, self.memo
+        memo, older = self.memo, self.older
+        found = list(map(memo.get, keys))
+        places = [k for k, x in enumerate(found) if x is None]
+        if not places:
+            return found
+        text = (lambda x: x[0] if isinstance(x, tuple) else b" " + x) if self.lead_space else (lambda x: x)
+        plain, tails = {}, []
+        for k in places:
+            x = keys[k]
+            old = older.get(x)
+            if old is not None:
+                memo[x] = found[k] = old
+            elif len(text(x)) > LONG:
+                found[k] = self.encode_unsplit(text(x).decode())
+            elif x[-1:] in STOPS and x[-2:-1].isalpha():  # a letter and the stop after it are never in one token
+                tails.append(k)
+                if x[:-1] not in memo and x[:-1] not in older:
+                    plain[x[:-1]] = None
+            else:
+                plain[x] = None
+        self._learn(list(plain), [text(x) for x in plain])
+        for k in tails:
+            x = keys[k]
+            stem = memo.get(x[:-1])
+            memo[x] = (older[x[:-1]] if stem is None else stem) + self.stops[x[-1:]]
+        return [memo[keys[k]] if x is None else x for k, x in enumerate(found)]
 
     def encode_batch(self, texts: list[bytes]) -> list[bytes]:
         """Little-endian 32-bit ids of each text."""
-        cut = [self.pieces(x) if x else [] for x in texts]
-        memo = self.memo
-        if len(memo) > MEMO:
-            memo.clear()
-        new = list(set().union(*cut) - memo.keys())
-        self._learn([x for x in new if len(x) <= LONG])
-        extra = {x: self.encode_unsplit(x.decode()) for x in new if len(x) > LONG}
-        if not extra:
-            return [b"".join(map(memo.__getitem__, x)) for x in cut]
-        return [b"".join([extra[p] if p in extra else memo[p] for p in x]) for x in cut]
-
-    def _learn(self, new: list[bytes]) -> None:
+        return [np.array(x, dtype="<u4").tobytes() for x in self.encode_column(pa.array(texts, pa.binary())).to_pylist()]
+
+    def _learn_words(self, keys: list, texts: list[bytes]) -> tuple[list, list[bytes]]:
+        """Pieces of plain letters go straight to the model: no pattern splits them. Returns the others."""
+        if not self.words_alone:
+            return keys, texts
+        others, tokenize, memo, lead = [], self.model.tokenize, self.memo, self.lead_space
+        for key, x in zip(keys, texts, strict=True):
+            word = x.decode()
+            bare = word[1:] if lead and word[:1] == " " else word
+            own = word if lead else word.lower()
+            if bare.isalpha() and max(bare) < LATIN_END and (lead or own.isalpha()):
+                memo[key] = array("I", [t.id for t in tokenize(own.encode().decode("latin-1").translate(BYTE_CHARS))]).tobytes()
+            else:
+                others.append((key, x))
+        return [k for k, _ in others], [x for _, x in others]
+
+    def _learn(self, keys: list, texts: list[bytes]) -> None:
         """Encode pieces for the memo; a special token between them keeps them apart and marks their ends."""
-        mark, own = next(((t.encode(), i) for t, i in self.special.items()), (b"", -1))
-        if not mark:
-            for x in new:
-                self.memo[x] = np.array(self.tok.encode(x.decode(), add_special_tokens=False).ids, dtype="<u4").tobytes()
-            return
-        plain = [x for x in new if mark not in x]
-        for x in new if len(plain) < len(new) else []:
-            if mark in x:
-                self.memo[x] = np.array(self.tok.encode(x.decode(), add_special_tokens=False).ids, dtype="<u4").tobytes()
-        groups = [plain[at : at + 256] for at in range(0, len(plain), 256)]
-        for group, e in zip(groups, self.tok.encode_batch_fast([mark.join(g).decode() for g in groups], add_special_tokens=False), strict=True):
-            ids = np.array(e.ids, dtype="<u4")
-            data = ids.tobytes()
-            ends = [*(np.flatnonzero(ids == own) * 4).tolist(), len(data)]
-            start = 0
-            for x, end in zip(group, ends, strict=True):
-                self.memo[x] = data[start:end]
-                start = end + 4
+        keys, texts = self._learn_words(keys, texts)
+        mark, own = next(((t.encode(), i) for t, i in self.special.items()), (None, -1))
+        plain = []
+        for key, x in zip(keys, texts, strict=True):
+            if mark is None or mark in x:
+                self.memo[key] = np.array(self.tok.encode(x.decode(), add_special_tokens=False).ids, dtype="<u4").tobytes()
+            else:
+                plain.append((key, x))
+        for at in range(0, len(plain), 32_768):
+            groups = [plain[k : k + 256] for k in range(at, min(at + 32_768, len(plain)), 256)]
+            for group, e in zip(groups, self.tok.encode_batch_fast([mark.join([x for _, x in g]).decode() for g in groups], add_special_tokens=False), strict=True):
+                ids = np.array(e.ids, dtype="<u4")
+                data, start = ids.tobytes(), 0
+                for (key, _), end in zip(group, [*(np.flatnonzero(ids == own) * 4).tolist(), len(data)], strict=True):
+                    self.memo[key] = data[start:end]
+                    start = end + 4
 
     def encode_unsplit(self, text: str) -> bytes:
         """Ids of a long piece: special tokens first, then the library's own splitting, then the tree."""
@@ -189,28 +273,23 @@ def codec(path: str) -> Codec:
     return Codec(path)
 
 
-def id_lists(chunks: list[bytes]) -> pa.Array:
-    """list<int32> column from the texts' id bytes."""
-    offsets = np.zeros(len(chunks) + 1, dtype=np.int32)
-    np.cumsum([len(x) // 4 for x in chunks], out=offsets[1:])
-    values = pa.Array.from_buffers(pa.int32(), int(offsets[-1]), [None, pa.py_buffer(b"".join(chunks))])
-    return pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), values)
-
-
-def encode_documents(docs: DataFrame, path: str, text: str = "text", key: str = "doc_id", decode: bool = False) -> DataFrame:
-    """(key, ids array<int>) of each row, and ``decoded`` from those ids if asked for."""
+def encode_documents(docs: DataFrame, path: str, text: str = "text", key: str = "doc_id", decode: bool = False, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(key, ids array<int>) of each row, ``decoded`` from those ids if asked for, and the columns to ``carry`` along."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(path)
-        for batch in slices(batches):
-            chunks = own.encode_batch(raw_texts(batch.column(1)))
-            columns = [batch.column(0), id_lists(chunks)]
+        for batch in byte_slices(batches, 1, SLICE_BYTES):
+            ids = own.encode_column(batch.column(1))
+            columns = [batch.column(0), ids]
             if decode:
-                columns.append(pa.array([own.decode(np.frombuffer(x, dtype="<u4")) for x in chunks], pa.string()))
-            yield pa.RecordBatch.from_arrays(columns, ["key", "ids", "decoded"][: len(columns)])
-
-    kind = docs.schema[key].dataType.simpleString()
-    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, ids array<int>" + ", decoded string" * decode)
+                flat, ends = ids.values.to_numpy(), ids.offsets.to_pylist()
+                columns.append(pa.array([own.decode(flat[a:b]) for a, b in zip(ends, ends[1:], strict=False)], pa.string()))
+            yield pa.RecordBatch.from_arrays([*columns, *batch.columns[2:]], [*["key", "ids", "decoded"][: len(columns)], *carry])
+
+    kinds = [("key", docs.schema[key].dataType), *[(c, docs.schema[c].dataType) for c in carry]]
+    (_, of), *rest = [(name, kind.simpleString()) for name, kind in kinds]
+    schema = f"key {of}, ids array<int>" + ", decoded string" * decode + "".join(f", `{name}` {kind}" for name, kind in rest)
+    return docs.select(F.col(key).alias("key"), F.col(text).alias("__text"), *carry).mapInArrow(run, schema)
 
 
 def decode_documents(encoded: DataFrame, path: str, ids: str = "ids", key: str = "key") -> DataFrame:

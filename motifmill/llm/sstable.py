@@ -42,8 +42,8 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from motifmill.functions.scratch import fresh_path, materialise
-from motifmill.llm.bpe import codec
-from motifmill.llm.words import raw_texts, slices
+from motifmill.llm.bpe import SLICE_BYTES, codec
+from motifmill.llm.words import byte_slices, slices
 
 MAGIC = b"TOKSST01"
 FOOTER = struct.Struct("<QIQIBBQQ8s")
@@ -212,20 +212,22 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int | Non
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(tokenizer)
         width = 2 if max(len(own.tokens), (end_id or 0) + 1) <= 1 << 16 else 4
-        tail = b"" if end_id is None else struct.pack("<I", end_id)
+        tail = np.array([] if end_id is None else [end_id], dtype=np.int32)
         part = TaskContext.get().partitionId()
         writer = stream = first = None
         files, root = pyarrow.fs.FileSystem.from_uri(folder)
         name = f"shard-{part:06d}.sst"
         attempt = f"{root}/.{name}-{uuid.uuid4().hex}"
-        for batch in slices(batches):
-            ids = own.encode_batch(raw_texts(batch.column(1)))
-            for doc_id, x in zip(batch.column(0).to_pylist(), ids, strict=True):
+        for batch in byte_slices(batches, 1, SLICE_BYTES):
+            ids = own.encode_column(batch.column(1))
+            flat, ends = ids.values.to_numpy(), ids.offsets.to_pylist()
+            for doc_id, a, b in zip(batch.column(0).to_pylist(), ends, ends[1:], strict=False):
                 if writer is None:
                     files.create_dir(root, recursive=True)
                     stream, first = files.open_output_stream(attempt), doc_id
                     writer = ShardWriter(stream, width)
-                writer.add(encode_key(doc_id), np.frombuffer(x + tail, dtype="<u4"))
+                writer.add(encode_key(doc_id), np.append(flat[a:b], tail))
+            del ids, flat, ends
         if writer is None:
             return
         writer.close()
@@ -235,7 +237,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int | Non
         kinds = [pa.int32(), pa.string(), *[pa.int64()] * 4]
         yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(row, kinds, strict=True)], ["shard", "name", "docs", "ids", "first_id", "last_id"])
 
-    ordered = docs.select(F.col(key).cast("bigint").alias("key"), F.col(text).alias("text")).repartitionByRange("key").sortWithinPartitions("key", "text")
+    ordered = docs.select(F.col(key).cast("bigint").alias("key"), F.col(text).alias("text")).repartitionByRange("key").sortWithinPartitions("key", F.xxhash64("text"))
     return materialise(ordered.mapInArrow(run, MANIFEST), "shards")
 
 

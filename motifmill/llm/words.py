@@ -6,6 +6,7 @@ UTF-8 bytes that is what ``bytes.split`` without arguments returns.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -33,11 +34,21 @@ def raw_texts(column: pa.Array) -> list[bytes]:
     return [b"" if x is None else x for x in column.cast(pa.binary()).to_pylist()]
 
 
+def trim() -> None:
+    """Give memory that earlier slices have freed back to the system: an executor's other processes need it."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def slices(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[pa.RecordBatch]:
     """Arrow batches cut to a few hundred documents, which bounds what a worker holds at once."""
     for batch in batches:
         for start in range(0, batch.num_rows, rows):
             yield batch.slice(start, rows)
+        trim()
 
 
 def byte_slices(batches: Iterator[pa.RecordBatch], column: int, limit: int = 24 << 20) -> Iterator[pa.RecordBatch]:
@@ -50,3 +61,4 @@ def byte_slices(batches: Iterator[pa.RecordBatch], column: int, limit: int = 24
             stop = max(start + 1, int(np.searchsorted(ends, done + limit, side="right")))
             yield batch.slice(start, stop - start)
             start = stop
+            trim()
