@@ -38,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from motifmill.llm.words import slices
+from motifmill.llm.words import byte_slices
 
 WIDTH, OVERLAP = 5, 0.8
 K1, B = 1.2, 0.75
@@ -46,7 +46,9 @@ MIN_STRIDE = 64
 ITEM_BLOCK = 8
 #: Bytes of item texts in one broadcast index.
 PART_BYTES = 32 << 20
-MEMO = 500_000
+#: Bytes of text that are searched at once, and words whose terms a worker keeps.
+SLICE_BYTES = 2 << 20
+MEMO = 200_000
 RESULT = "key {kind}, item_id bigint, question_overlap double, answer_overlap double, overlap double, score double"
 
 
@@ -207,7 +209,7 @@ def leaks(texts: list[str | None], index: BlockMaxIndex, stride: int, memo: Term
         if whole >= OVERLAP or min(q, a) >= OVERLAP:
             row = (q, a, whole, score)
             best[k, item.item_id] = max(best.get((k, item.item_id), row), row)
-    return [(k, i, *row) for (k, i), row in sorted(best.items())]
+    return [(k, i, *row) for (k, i), row in sorted(best.items(), key=lambda x: (x[0][0], x[0][1] is not None, x[0][1] or 0))]
 
 
 def index_parts(items: DataFrame, item_key: str = "item_id", item_text: str = "text") -> Iterator[tuple[BlockMaxIndex, int]]:
@@ -231,7 +233,7 @@ def find_leaks(docs: DataFrame, items: DataFrame, text: str = "text", key: str =
 
         def run(batches: Iterator[pa.RecordBatch], index=index, stride=stride) -> Iterator[pa.RecordBatch]:
             memo = TermMemo(index.value)
-            for batch in slices(batches, 256):
+            for batch in byte_slices(batches, 1, SLICE_BYTES):
                 found = leaks(batch.column(1).to_pylist(), index.value, stride, memo)
                 if found:
                     at = pa.array([r[0] for r in found], pa.int64())
@@ -253,7 +255,7 @@ def drop_leaking(docs: DataFrame, items: DataFrame, text: str = "text", key: str
 
         def run(batches: Iterator[pa.RecordBatch], index=index, stride=stride) -> Iterator[pa.RecordBatch]:
             memo = TermMemo(index.value)
-            for batch in slices(batches, 256):
+            for batch in byte_slices(batches, at, SLICE_BYTES):
                 bad = {r[0] for r in leaks(batch.column(at).to_pylist(), index.value, stride, memo)}
                 yield batch.filter(pa.array([k not in bad for k in range(batch.num_rows)], pa.bool_()))
 

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from motifmill.llm.words import slices
+from motifmill.llm.words import byte_slices
 
 KINDS = ["email", "ip", "card", "phone", "url", "iban", "account", "secret"]
 BASE = KINDS[:4]
@@ -239,7 +239,7 @@ def find_pii(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFr
     kind = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches):
+        for batch in byte_slices(batches, 1, 4 << 20):
             spans = [text_spans(t) if t else [] for t in batch.column(1).to_pylist()]
             rows = [[{"kind": k, "start": a, "end": b} for k, a, b in x] for x in spans]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, kind)], ["key", "spans"])
@@ -254,7 +254,7 @@ def redact_documents(docs: DataFrame, text: str = "text") -> DataFrame:
     at = names.index(text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches):
+        for batch in byte_slices(batches, at, 4 << 20):
             clean = [t and redact(t, text_spans(t)) for t in batch.column(at).to_pylist()]
             columns = [pa.array(clean, pa.string()) if k == at else c for k, c in enumerate(batch.columns)]
             yield pa.RecordBatch.from_arrays(columns, names)

@@ -28,6 +28,8 @@ HOST_LIMIT = 0.5
 #: Prior weights outside this range (in documents) are moved to its ends.
 PRIOR_WEIGHT = (2.0, 10_000.0)
 WINDOW = 5
+#: Bytes of rejected hosts up to which they are broadcast.
+HOSTS_BROADCAST = 16 << 20
 COUNTS = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
 RULES = ["fail_short", "fail_repeats", "fail_symbols", "fail_lines", "fail_lengths"]
 
@@ -135,17 +137,19 @@ def quality_verdicts(docs: DataFrame, text: str = "text", host: str = "source",
 def keep_good(docs: DataFrame, text: str = "text", host: str = "source", key: str = "doc_id") -> DataFrame:
     """The rows that pass, with the columns of ``docs``.
 
-    The host table is all that the first pass has to deliver, so the verdict is
-    taken on the row itself and no text is shuffled.
+    The rejected hosts are all that the first pass has to deliver. While they are few
+    (their bytes are summed first) they are broadcast, and no text is shuffled.
     """
     features = materialise(quality_features(docs, text, host, key), "quality")
-    hosts = host_rates(features, host).where("host_failed").select(F.col(host).alias("__host"), F.lit(True).alias("__bad"))
-    judged = docs.withColumn("__c", document_counts(F.col(text)))
-    failures = rule_failures()
+    bad = materialise(host_rates(features, host).where("host_failed").select(F.col(host).alias("__host")), "bad-hosts")
+    size = bad.agg(F.count("*").alias("rows"), F.sum(F.octet_length(F.col("__host").cast("string"))).alias("bytes")).first()
     within = {k: F.col(f"__c.{k}").alias(k) for k in [*COUNTS, "n_lines"]}
-    rows = judged.select(F.struct(*docs.columns).alias("__row"), F.col(host).alias("__own_host"), *within.values())
-    good = rows.where(~F.greatest(*failures.values())).join(hosts, F.col("__own_host") == F.col("__host"), "left_anti")
-    return good.select("__row.*")
+    rows = docs.select(F.struct(*docs.columns).alias("__row"), F.col(host).alias("__own_host"), document_counts(F.col(text)).alias("__c"))
+    rows = rows.select("__row", "__own_host", *within.values()).where(~F.greatest(*rule_failures().values()))
+    if size["rows"]:
+        small = size["rows"] * 32 + size["bytes"] <= HOSTS_BROADCAST
+        rows = rows.join(F.broadcast(bad) if small else bad, F.col("__own_host") == F.col("__host"), "left_anti")
+    return rows.select("__row.*")
 
 
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -90,7 +90,7 @@ def settle(counts: dict[int, int], owners: list[int], capacity: list[int]) -> li
 def capacities(rows: int, n_shards: int, slack: float) -> list[int]:
     if slack <= 0:
         return [rows // n_shards + (k < rows % n_shards) for k in range(n_shards)]
-    return [math.ceil((1 + slack) * rows / n_shards)] * n_shards
+    return [math.ceil((1 + slack) * rows / n_shards - 1e-9)] * n_shards
 
 
 def with_arc(df: DataFrame, ring: DataFrame, position: Column, n_points: int) -> DataFrame:

@@ -34,13 +34,15 @@ from pyspark.sql import functions as F
 
 from motifmill.functions.scratch import materialise
 from motifmill.llm.components import star_components
-from motifmill.llm.words import raw_texts, slices
+from motifmill.llm.words import byte_slices, raw_texts
 
 SEED = 42
 DISTANCE = 3
 #: Fingerprints that one task compares in one bucket; larger buckets are split.
 BUCKET_ROWS = 8192
 LEAF, FAN = 32, 16
+#: Splits of a bucket; after these, 43 bits agree, and a task takes what is left as it is.
+SPLITS = 3
 
 
 def fingerprint(text: bytes, width: int) -> int:
@@ -67,7 +69,7 @@ def fingerprints(docs: DataFrame, width: int = 3, text: str = "text", key: str =
     """(key, fp long): the fingerprint's 64 bits as a signed number."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches):
+        for batch in byte_slices(batches, 1, 4 << 20):
             values = np.array([fingerprint(t, width) for t in raw_texts(batch.column(1))], dtype=np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(values, pa.int64())], ["key", "fp"])
 
@@ -178,10 +180,10 @@ def similar_links(codes: DataFrame, bucket_rows: int = BUCKET_ROWS) -> DataFrame
     level = [(mask, (1 << 64) - 1 & ~mask) for mask in _blocks((1 << 64) - 1, parts)]
     keys = F.explode(F.array(*[F.struct(F.lit(k).alias("path"), (F.col("fp").bitwiseAND(F.lit(_signed(m)))).alias("agree")) for k, (m, _) in enumerate(level)]))
     rows = codes.select("fp", "root", keys.alias("k")).select("fp", "root", "k.*")
-    while True:
+    for depth in range(SPLITS + 1):
         sizes = rows.groupBy("path", "agree").count().where(F.col("count") > bucket_rows).select("path", "agree")
         large = materialise(sizes, "large-buckets")
-        any_large = not large.isEmpty() and any(free for _, free in level)
+        any_large = depth < SPLITS and not large.isEmpty()
         here = rows.join(large, ["path", "agree"], "left_anti") if any_large else rows
         dealt = here.select(F.xxhash64("path", "agree").alias("bucket"), "fp", "root").repartition("bucket").sortWithinPartitions("bucket", "fp")
         links = dealt.mapInArrow(_bucket_links, "u bigint, v bigint")
@@ -199,6 +201,7 @@ def similar_links(codes: DataFrame, bucket_rows: int = BUCKET_ROWS) -> DataFrame
             choice = F.when(F.col("path") == path, own) if choice is None else choice.when(F.col("path") == path, own)
         rows = rows.join(large, ["path", "agree"], "left_semi").select("fp", "root", F.explode(choice).alias("k")).select("fp", "root", "k.*")
         level = deeper
+    raise AssertionError("the last depth returns")
 
 
 def simhash_components(docs: DataFrame, width: int = 3, text: str = "text", key: str = "doc_id") -> DataFrame:
@@ -219,9 +222,11 @@ def keep_one_of_each(docs: DataFrame, width: int = 5, text: str = "text", key: s
 
     Rows without an id are near copies of nothing and stay.
     """
-    groups = simhash_components(docs.where(F.col(key).isNotNull()), width, text, key)
-    losers = groups.where("key <> component").select(F.col("key").alias(key))
-    first = docs.where(F.col(key).isNotNull()).join(losers, key, "left_anti").dropDuplicates([key]).select(*docs.columns)
+    own = docs.where(F.col(key).isNotNull())
+    groups = materialise(simhash_components(own, width, text, key), "near-copies")
+    first = own.join(groups.where("key <> component").select(F.col("key").alias(key)), key, "left_anti").select(*docs.columns)
+    if not groups.groupBy("key").count().where("count > 1").isEmpty():  # rows that repeat an id
+        first = first.dropDuplicates([key])
     return first.union(docs.where(F.col(key).isNull()))
 
 
