@@ -194,7 +194,7 @@ def path_graph(spark: SparkSession, n: int) -> DataFrame:
 
 
 def complete_bipartite(spark: SparkSession, a: int, b: int) -> DataFrame:
-    return spark.range(a).select(F.col("id").alias("u"), F.explode(F.sequence(F.lit(a), F.lit(a + b - 1))).cast("bigint").alias("v"))
+    return spark.range(a).select(F.col("id").alias("u"), F.explode(F.sequence(F.lit(a).cast("bigint"), F.lit(a + b - 1).cast("bigint"))).alias("v"))
 
 
 def random_graph(spark: SparkSession, n: int, pairs: int, seed: int = 0) -> DataFrame:
