@@ -22,6 +22,7 @@ from __future__ import annotations
 import os
 import re
 from array import array
+from codecs import charmap_decode
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -43,13 +44,15 @@ MEMO = 200_000
 #: White space of Unicode, fixed values.
 WHITE = [*range(0x09, 0x0E), *range(0x1C, 0x21), 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
 UNSAFE = [(chr(c) + " ").encode() for c in WHITE if c > 0x7F]
+LEADS = sorted({x[:2] for x in UNSAFE})
 ASCII_WHITE = bytes(0x0A if c in WHITE and c < 0x20 else c for c in range(256))
 STOPS = (b".", b",", b";", b":", b"!", b"?")
 
 LATIN_END = "\u0250"
 #: Characters that stand for bytes in byte-level vocabularies: printable ones for themselves, the rest from U+0100 on.
 _PRINTABLE = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
-BYTE_CHARS = {b: chr(0x100 + k) for k, b in enumerate(b for b in range(256) if b not in _PRINTABLE)}
+_REST = iter(range(0x100, 0x200))
+BYTE_CHARS = "".join(chr(b) if b in _PRINTABLE else chr(next(_REST)) for b in range(256))
 
 
 class Span:
@@ -77,11 +80,14 @@ class Codec:
         self.memo: dict[bytes | tuple[bytes], bytes] = {}
         self.older: dict[bytes | tuple[bytes], bytes] = {}
         self.model = self.tok.model
-        lead = " " if self.lead_space else ""
-        probes = [lead + w for w in ("a", "Word", "\u00e9t\u00c9", "\u00df\u0131", "\u017f\u00aa", "\u01c5don")]
+        self.tokenize = self.model.tokenize
+        self.line_end = np.array(ids("\n"), dtype="<u4").tobytes()
+        self.lead = charmap_decode(b" ", "strict", BYTE_CHARS)[0] if self.lead_space else ""
+        space = " " if self.lead_space else ""
         alone = lambda w: [t for t, _ in self.tok.pre_tokenizer.pre_tokenize_str(self.tok.normalizer.normalize_str(w) if self.tok.normalizer else w)]
-        form = lambda w: (w if self.lead_space else w.lower()).encode().decode("latin-1").translate(BYTE_CHARS)
-        self.words_alone = self.tok.pre_tokenizer is not None and all(alone(w) == [form(w)] for w in probes)
+        form = lambda w: self.lead + charmap_decode((w if self.lead_space else w.lower()).encode(), "strict", BYTE_CHARS)[0]
+        probes = ("a", "Word", "\u00e9t\u00c9", "\u00df\u0131", "\u017f\u00aa", "\u01c5don")
+        self.words_alone = self.tok.pre_tokenizer is not None and all(alone(space + w) == [form(w)] for w in probes)
         self.stops = {x: np.array(ids(x.decode()), dtype="<u4").tobytes() for x in STOPS}
         self.tokens = [self.tok.id_to_token(i) or "" for i in range(self.tok.get_vocab_size(with_added_tokens=True))]
         self.plain = self.tok.decoder is None
@@ -92,7 +98,7 @@ class Codec:
         """Whether every space of a text begins a new piece: none follows other white space."""
         if b"  " in text or b"\n " in text.translate(ASCII_WHITE):
             return False
-        return text.isascii() or not any(x in text for x in UNSAFE)
+        return text.isascii() or not any(x in text for x in LEADS) or not any(x in text for x in UNSAFE)
 
     def encode_column(self, column: pa.Array) -> pa.ListArray:
         """Ids of each text of a string column; null texts have none.
@@ -136,53 +142,65 @@ class Codec:
         places = [k for k, x in enumerate(found) if x is None]
         if not places:
             return found
-        text = (lambda x: x[0] if isinstance(x, tuple) else b" " + x) if self.lead_space else (lambda x: x)
-        plain, tails = {}, []
+        others = []
         for k in places:
             x = keys[k]
-            old = older.get(x)
-            if old is not None:
-                memo[x] = found[k] = old
-            elif len(text(x)) > LONG:
-                found[k] = self.encode_unsplit(text(x).decode())
-            elif x[-1:] in STOPS and x[-2:-1].isalpha():  # a letter and the stop after it are never in one token
-                tails.append(k)
-                if x[:-1] not in memo and x[:-1] not in older:
-                    plain[x[:-1]] = None
+            ids = older.get(x)
+            if ids is None and self.words_alone:
+                ids = self._words(x)
+            if ids is None:
+                others.append(k)
             else:
-                plain[x] = None
-        self._learn(list(plain), [text(x) for x in plain])
-        for k in tails:
-            x = keys[k]
-            stem = memo.get(x[:-1])
-            memo[x] = (older[x[:-1]] if stem is None else stem) + self.stops[x[-1:]]
-        return [memo[keys[k]] if x is None else x for k, x in enumerate(found)]
+                memo[x] = found[k] = ids
+        if not others:
+            return found
+        text = lambda x: x[0] if isinstance(x, tuple) else b" " + x if self.lead_space else x
+        self._learn([(keys[k], text(keys[k])) for k in others if len(text(keys[k])) <= LONG])
+        for k in others:
+            ids = memo.get(keys[k])
+            found[k] = self.encode_unsplit(text(keys[k]).decode()) if ids is None else ids  # long ones are not kept
+        return found
 
     def encode_batch(self, texts: list[bytes]) -> list[bytes]:
         """Little-endian 32-bit ids of each text."""
         return [np.array(x, dtype="<u4").tobytes() for x in self.encode_column(pa.array(texts, pa.binary())).to_pylist()]
 
-    def _learn_words(self, keys: list, texts: list[bytes]) -> tuple[list, list[bytes]]:
-        """Pieces of plain letters go straight to the model: no pattern splits them. Returns the others."""
-        if not self.words_alone:
-            return keys, texts
-        others, tokenize, memo, lead = [], self.model.tokenize, self.memo, self.lead_space
-        for key, x in zip(keys, texts, strict=True):
-            word = x.decode()
-            bare = word[1:] if lead and word[:1] == " " else word
-            own = word if lead else word.lower()
-            if bare.isalpha() and max(bare) < LATIN_END and (lead or own.isalpha()):
-                memo[key] = array("I", [t.id for t in tokenize(own.encode().decode("latin-1").translate(BYTE_CHARS))]).tobytes()
-            else:
-                others.append((key, x))
-        return [k for k, _ in others], [x for _, x in others]
+    def _words(self, piece: bytes | tuple[bytes]) -> bytes | None:
+        """Id bytes of a piece of plain words, each with a stop at most, in lines; None for others.
+
+        A letter and the stop after it are never in one token, and a line end between words is a token of its own.
+        """
+        first = isinstance(piece, tuple)
+        if first:
+            (piece,) = piece
+        lead = "" if first else self.lead
+        if b"\n" not in piece:
+            return self._word(piece, lead)
+        out = [self._word(x, "" if k else lead) for k, x in enumerate(piece.split(b"\n"))]
+        return None if None in out else self.line_end.join(out)
+
+    def _word(self, piece: bytes, lead: str) -> bytes | None:
+        """Id bytes of letters and a stop, straight from the model: no pattern splits the letters."""
+        stop = self.stops.get(piece[-1:], b"")
+        if stop:
+            piece = piece[:-1]
+        word = piece.decode()
+        if not word.isalpha() or len(word) > LONG:
+            return None
+        if not self.lead_space:
+            word = word.lower()
+            piece = word.encode()
+        if not word.isascii():
+            if not word.isalpha() or max(word) >= LATIN_END:
+                return None
+            word = charmap_decode(piece, "strict", BYTE_CHARS)[0]
+        return array("I", [t.id for t in self.tokenize(lead + word)]).tobytes() + stop
 
-    def _learn(self, keys: list, texts: list[bytes]) -> None:
-        """Encode pieces for the memo; a special token between them keeps them apart and marks their ends."""
-        keys, texts = self._learn_words(keys, texts)
+    def _learn(self, new: list[tuple]) -> None:
+        """Encode (key, text) for the memo; a special token between texts keeps them apart and marks their ends."""
         mark, own = next(((t.encode(), i) for t, i in self.special.items()), (None, -1))
         plain = []
-        for key, x in zip(keys, texts, strict=True):
+        for key, x in new:
             if mark is None or mark in x:
                 self.memo[key] = np.array(self.tok.encode(x.decode(), add_special_tokens=False).ids, dtype="<u4").tobytes()
             else:

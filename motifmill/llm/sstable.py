@@ -152,8 +152,9 @@ class ShardReader:
         self._bloom: bytes | None = None
 
     @classmethod
-    def of_bytes(cls, data: bytes) -> ShardReader:
-        return cls(lambda at, n: data[at : at + n], len(data))
+    def of_bytes(cls, data: bytes | pa.Buffer) -> ShardReader:
+        view = memoryview(data)
+        return cls(lambda at, n: bytes(view[at : at + n]), len(view))
 
     def block(self, k: int) -> Iterator[tuple[bytes, np.ndarray]]:
         at, length, entries, _ = self.blocks[k]
@@ -241,39 +242,38 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int | Non
     return materialise(ordered.mapInArrow(run, MANIFEST), "shards")
 
 
-def read_shards(spark: SparkSession, folder: str) -> DataFrame:
-    """(shard, key, local_start, ids array<int>) of every entry, read from the files."""
+IDS = "shard int, key bigint, local_start bigint, ids array<int>"
+DIGESTS = "shard int, key bigint, local_start bigint, n_tokens bigint, ids_crc32 bigint"
+
+
+def read_shards(spark: SparkSession, folder: str, digests: bool = False) -> DataFrame:
+    """(shard, key, local_start, ids) of every entry, read from the files; with ``digests`` the ids' number and CRC-32 instead.
+
+    The checksum is that of the ids as little-endian 32-bit numbers.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, 1):
             shard = int(batch.column(0)[0].as_py().rpartition("shard-")[2].removesuffix(".sst"))
-            reader, start = ShardReader.of_bytes(batch.column(1)[0].as_py()), 0
+            reader, start = ShardReader.of_bytes(batch.column(1)[0].as_buffer()), 0
             for k in range(len(reader.blocks)):
-                keys, starts, ids = [], [], []
+                keys, ids = [], []
                 for key, x in reader.block(k):
                     keys.append(decode_key(key))
-                    starts.append(start)
-                    ids.append(x.astype(np.int32))
-                    start += len(x)
-                offsets = np.append(0, np.cumsum([len(x) for x in ids])).astype(np.int32)
-                lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(ids)))
-                yield pa.RecordBatch.from_arrays([pa.array([shard] * len(keys), pa.int32()), pa.array(keys, pa.int64()), pa.array(starts, pa.int64()), lists], ["shard", "key", "local_start", "ids"])
-
+                    ids.append(x.astype("<u4"))
+                size = np.array([len(x) for x in ids], dtype=np.int64)
+                ends = np.append(0, np.cumsum(size))
+                columns = [pa.array([shard] * len(keys), pa.int32()), pa.array(keys, pa.int64()), pa.array(ends[:-1] + start)]
+                start += int(ends[-1])
+                if digests:
+                    columns += [pa.array(size), pa.array([zlib.crc32(x) for x in ids], pa.int64())]
+                else:
+                    columns.append(pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(np.concatenate(ids).view(np.int32))))
+                yield pa.RecordBatch.from_arrays(columns, [c.split()[0] for c in schema.split(", ")])
+
+    schema = DIGESTS if digests else IDS
     files = spark.read.format("binaryFile").option("pathGlobFilter", "shard-*.sst").load(folder)
-    return files.select("path", "content").mapInArrow(run, "shard int, key bigint, local_start bigint, ids array<int>")
-
-
-def ids_crc32(ids: DataFrame) -> DataFrame:
-    """(shard, key, local_start, n_tokens, ids_crc32) of rows of ``read_shards``."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches):
-            lists = batch.column(3)
-            flat, ends = lists.flatten().to_numpy().astype("<u4"), np.append(0, np.cumsum(lists.value_lengths().to_numpy()))
-            crc = [zlib.crc32(flat[a:b].tobytes()) for a, b in zip(ends, ends[1:], strict=False)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(np.diff(ends), pa.int64()), pa.array(crc, pa.int64())], ["shard", "key", "local_start", "n_tokens", "ids_crc32"])
-
-    return ids.mapInArrow(run, "shard int, key bigint, local_start bigint, n_tokens bigint, ids_crc32 bigint")
+    return files.select("path", "content").mapInArrow(run, schema)
 
 
 def op10_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -287,7 +287,7 @@ def op10_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
         return spark.createDataFrame([], "doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint, shard int")
     before = F.sum("ids").over(Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1))
     bases = manifest.select(F.col("shard").alias("__shard"), F.coalesce(before, F.lit(0)).alias("base"))
-    rows = ids_crc32(read_shards(spark, folder))
+    rows = read_shards(spark, folder, digests=True)
     return rows.join(bases, F.col("shard") == F.col("__shard")).select(
         F.col("key").alias("doc_id"), (F.col("base") + F.col("local_start")).alias("start"), "n_tokens", "ids_crc32", "shard"
     )
