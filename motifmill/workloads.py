@@ -10,6 +10,7 @@ from collections.abc import Callable, Iterator
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from motifmill.functions.metrics import measure
 from motifmill.functions.scratch import materialise
 from motifmill.operators import baselines as B
 from motifmill.operators import compress as K
@@ -34,23 +35,6 @@ def timed(work: Callable[[], object]) -> tuple[float, object]:
     return round(time.perf_counter() - start, 3), out
 
 
-def shuffle_bytes(df: DataFrame) -> int:
-    """Bytes that a plan's exchanges have written, from its metrics after it ran."""
-    total, todo = 0, [df._jdf.queryExecution().executedPlan()]
-    while todo:
-        node = todo.pop()
-        if node.nodeName().startswith("AdaptiveSparkPlan"):
-            todo.append(node.executedPlan())
-            continue
-        metric = node.metrics().get("shuffleBytesWritten")
-        total += metric.get().value() if metric.isDefined() else 0
-        children = node.children()
-        todo += [children.apply(k) for k in range(children.size())]
-        if node.nodeName().startswith("ShuffleQueryStage"):
-            todo.append(node.plan())
-    return total
-
-
 def planned(edges: DataFrame, pattern: str, compressed: bool = True, family: str = "hub"):
     p = named(pattern)
     sizes = Sizes(degree_moments(S.degrees(edges)), symmetry_order(p))
@@ -90,8 +74,8 @@ def w3_static(edges: DataFrame, graph: str, patterns: list[str] | None = None) -
             ("star_clique", lambda: stars.list(index, p, order, stars.plan(p, sizes))),
             ("clique_index", lambda: cliques.list(index, p, order)[0]),
         ):
-            seconds, _ = timed(lambda plan=plan: run_only(plan()))
-            yield {"workload": "W3", "graph": graph, "pattern": pattern, "method": method, "seconds": seconds, "joins": tree.joins if method == "ours" else None}
+            spent = measure(edges.sparkSession, lambda plan=plan: run_only(plan()))
+            yield {"workload": "W3", "graph": graph, "pattern": pattern, "method": method, "seconds": spent["seconds"], "shuffle_bytes": spent["shuffleWriteBytes"], "joins": tree.joins if method == "ours" else None}
 
 
 def w4_store_update(edges: DataFrame, graph: str) -> Iterator[Row]:

@@ -52,6 +52,13 @@ def test_workloads(spark, name):
     json.dumps(out)
 
 
+def test_measures(spark):
+    from motifmill.functions.metrics import measure
+
+    spent = measure(spark, lambda: run_only(spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count()))
+    assert spent["shuffleWriteRecords"] >= 7 and spent["shuffleWriteBytes"] > 0 and spent["seconds"] > 0
+
+
 def test_report(spark):
     rows = spark.createDataFrame([("g", "p", "a", 1.0), ("g", "p", "b", 2.0)], "graph string, pattern string, method string, seconds double")
     total = workloads.report(rows).where("level = 7").first()
