@@ -5,8 +5,9 @@ failures are aggregated by host (``source``), each host's failure rate is shrunk
 towards the corpus with a beta prior whose two parameters come from the hosts'
 own rates (method of moments), and the host's verdict is joined back.
 
-A document is kept when it passes the base rules, fails no document rule, and
-its host's shrunk failure rate is at most ``HOST_LIMIT``.
+A document is kept when it passes the base rules and those of symbols and word
+lengths, and its host's shrunk failure rate is at most ``HOST_LIMIT``. Repeated lines
+alone reject no document (good texts have refrains); they count for the host.
 
 Window equality is judged on 64-bit hashes of the five words with their bounds.
 
@@ -124,7 +125,7 @@ def quality_verdicts(docs: DataFrame, text: str = "text", host: str = "source",
     """Every row's counts, rule failures, host rate, ``base_failed`` and ``kept``."""
     features = materialise(quality_features(docs, text, host, key), "quality")
     hosts = host_rates(features, host)
-    own = F.col("fail_symbols") | F.col("fail_lines") | F.col("fail_lengths")
+    own = F.col("fail_symbols") | F.col("fail_lengths")
     base = F.col("fail_short") | F.col("fail_repeats")
     return features.join(hosts, host, "left").select(
         key, host, *COUNTS, "n_lines", *RULES, "host_docs", "host_rate",
@@ -145,7 +146,8 @@ def keep_good(docs: DataFrame, text: str = "text", host: str = "source", key: st
     size = bad.agg(F.count("*").alias("rows"), F.sum(F.octet_length(F.col("__host").cast("string"))).alias("bytes")).first()
     within = {k: F.col(f"__c.{k}").alias(k) for k in [*COUNTS, "n_lines"]}
     rows = docs.select(F.struct(*docs.columns).alias("__row"), F.col(host).alias("__own_host"), document_counts(F.col(text)).alias("__c"))
-    rows = rows.select("__row", "__own_host", *within.values()).where(~F.greatest(*rule_failures().values()))
+    failures = rule_failures()
+    rows = rows.select("__row", "__own_host", *within.values()).where(~F.greatest(*[failures[r] for r in RULES if r != "fail_lines"]))
     if size["rows"]:
         small = size["rows"] * 32 + size["bytes"] <= HOSTS_BROADCAST
         rows = rows.join(F.broadcast(bad) if small else bad, F.col("__own_host") == F.col("__host"), "left_anti")
@@ -180,9 +182,9 @@ c AS (
   FROM w LEFT JOIN rep USING (doc_id)),
 f AS (
   SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed,
-         10 * n_symbols > n_words OR 100 * n_dup_lines > 30 * n_lines OR word_chars < 2 * n_words OR word_chars > 20 * n_words AS own_failed
+         10 * n_symbols > n_words OR word_chars < 2 * n_words OR word_chars > 20 * n_words AS own_failed, 100 * n_dup_lines > 30 * n_lines AS lines_failed
   FROM c),
-h AS (SELECT source, count(*)::DOUBLE AS n, sum((base_failed OR own_failed)::INT)::DOUBLE AS k FROM f WHERE source IS NOT NULL GROUP BY source),
+h AS (SELECT source, count(*)::DOUBLE AS n, sum((base_failed OR own_failed OR lines_failed)::INT)::DOUBLE AS k FROM f WHERE source IS NOT NULL GROUP BY source),
 s AS (SELECT greatest(least(sum(k) / sum(n), 1 - 1e-6), 1e-6) AS m,
              sum(n * (k / n) * (k / n)) / sum(n) - (sum(k) / sum(n)) ** 2 AS v, count(*) / sum(n) AS inv FROM h),
 p AS (SELECT m, CASE WHEN v - m * (1 - m) * inv > 0 THEN greatest(least(m * (1 - m) / (v - m * (1 - m) * inv) - 1, 10000), 2) ELSE 10000 END AS wt FROM s),
