@@ -10,21 +10,17 @@ from pyspark.sql import SparkSession
 FIELDS = ["inputBytes", "inputRecords", "outputBytes", "outputRecords", "shuffleReadBytes", "shuffleWriteBytes", "shuffleWriteRecords", "diskBytesSpilled"]
 
 
-def totals(spark: SparkSession) -> dict[str, int]:
-    """Sums over all stages that the application still remembers."""
+def _stages(spark: SparkSession):
     sc = spark.sparkContext
     sc._jsc.sc().listenerBus().waitUntilEmpty()
     stages = sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), sc._jvm.java.util.ArrayList())
-    out = dict.fromkeys(FIELDS, 0)
-    for k in range(stages.size()):
-        for field in FIELDS:
-            out[field] += getattr(stages.apply(k), field)()
-    return out
+    return [stages.apply(k) for k in range(stages.size())]
 
 
 def measure(spark: SparkSession, work: Callable[[], object]) -> dict[str, float]:
     """Seconds of ``work`` and what its stages read, moved, wrote and spilled."""
-    before, start = totals(spark), time.perf_counter()
+    last, start = max((s.stageId() for s in _stages(spark)), default=-1), time.perf_counter()
     work()
     seconds = round(time.perf_counter() - start, 3)
-    return {"seconds": seconds} | {k: v - before[k] for k, v in totals(spark).items()}
+    own = [s for s in _stages(spark) if s.stageId() > last]
+    return {"seconds": seconds} | {field: sum(getattr(s, field)() for s in own) for field in FIELDS}

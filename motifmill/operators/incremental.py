@@ -147,20 +147,17 @@ def patch_trees(store: DataFrame, p: Pattern, cover: frozenset[str], order: Orde
     for i, (anchor, q) in enumerate(parts):
         lower = {e for _, u in parts[:i] for e in u.edges} if unit_order else set()
         own = [e for e in q.edges if e not in lower]
-        fragments = seed_slices(store, q, cover, order, added, own, sorted(lower & set(q.edges)), anchor) if own else []
-        piece = q
+        if not own:
+            continue
+        tree, piece = None, q
+        for part in seed_slices(store, q, cover, order, added, own, sorted(lower & set(q.edges)), anchor):
+            tree = part if tree is None else tree.unionByName(part)  # slices are disjoint, so they go on together
         for j in orders[i][1:]:
             nxt_anchor, u = parts[j]
             barred = sorted(u.edges) if unit_order and j < i else []
-            fragments = [expand(f, piece, store, u, nxt_anchor, cover, order, barred, added, how, h, bitmaps) for f in fragments]
+            tree = expand(materialise(tree, "seeds"), piece, store, u, nxt_anchor, cover, order, barred, added, how, h, bitmaps)
             piece = union(piece, u)
-        columns = [f"s_{v}" for v in kept(p, cover)] + [f"c_{v}" for v in free(p, cover)]
-        tree = None
-        for f in fragments:
-            f = f.select(columns)
-            tree = f if tree is None else tree.unionByName(f)
-        if tree is not None:
-            out.append(tree)
+        out.append(tree.select(*[f"s_{v}" for v in kept(p, cover)], *[f"c_{v}" for v in free(p, cover)]))
     return out
 
 
