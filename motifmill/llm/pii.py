@@ -8,7 +8,8 @@ without anchors, which are most, cost the one pass.
 Base kinds (leftmost, non-overlapping within a kind, failing candidates dropped):
 email, ip, card, phone. Added kinds: url (a scheme and what follows it up to white
 space or a quote), iban (checked modulo 97), account (a cue and at least six
-digits), secret (a cue, an equals sign or colon, and a quoted value).
+digits), secret (a cue, an equals sign or colon, and a quoted value of any length
+from eight characters, without white space).
 
 Spans are in code points with the end exclusive. Nulls: a null text is empty and has
 no spans. Repeated rows are judged each. An empty table gives an empty result. Other
@@ -17,6 +18,7 @@ columns are passed through by ``redact_documents`` and dropped by ``find_pii``.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -37,6 +39,7 @@ LABEL = LETTERS | DIGITS | frozenset("-")
 PHONE = DIGITS | frozenset(" ().-")
 BLANK = frozenset(" \t")
 URL_END = frozenset(" \t\n\x0b\x0c\r\"'<>`")
+SECRET_END = {q: re.compile(rf"[{q}\s]") for q in "\"'"}
 CUES = {"account": ["account", "acct"], "iban": ["iban"], "secret": ["token", "password", "secret", "api_key", "apikey"]}
 
 Span = tuple[str, int, int]
@@ -193,10 +196,9 @@ def secrets(text: str, ends: list[int]) -> list[Span]:
         at = _value_start(text, e)
         if at == e or text[at : at + 1] not in ('"', "'") or at >= len(text):
             continue
-        stop = text.find(text[at], at + 1, at + 514)
-        value = text[at + 1 : stop] if stop > 0 else ""
-        if len(value) >= 8 and not any(c.isspace() for c in value):
-            out.append(("secret", at + 1, stop))
+        end = SECRET_END[text[at]].search(text, at + 1)  # white space ends a value that has no closing quote
+        if end and end[0] == text[at] and end.start() - at > 8:
+            out.append(("secret", at + 1, end.start()))
     return out
 
 
