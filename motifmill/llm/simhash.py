@@ -45,19 +45,24 @@ LEAF, FAN = 32, 16
 SPLITS = 3
 
 
-def fingerprint(text: bytes, width: int) -> int:
-    """64-bit SimHash of the ``width``-word shingles of a UTF-8 text."""
+def shingle_hashes(text: bytes, width: int) -> np.ndarray:
+    """XXH64 values of the ``width``-word shingles of a UTF-8 text; a shorter text is one shingle, and one without words has none."""
     words = text.lower().split()
     if not words:
-        return 0
+        return np.zeros(0, dtype="<u8")
     line = b" ".join(words)
     digest = xxhash.xxh64_intdigest
     if len(words) <= width:
-        return digest(line, SEED)
+        return np.array([digest(line, SEED)], dtype="<u8")
     ends = np.cumsum([len(w) + 1 for w in words])
     starts = [0, *(ends[: len(words) - width]).tolist()]
     stops = (ends[width - 1 :] - 1).tolist()
-    h = np.array([digest(line[a:b], SEED) for a, b in zip(starts, stops, strict=True)], dtype="<u8")
+    return np.array([digest(line[a:b], SEED) for a, b in zip(starts, stops, strict=True)], dtype="<u8")
+
+
+def fingerprint(text: bytes, width: int) -> int:
+    """64-bit SimHash of the ``width``-word shingles of a UTF-8 text."""
+    h = shingle_hashes(text, width)
     ones = np.zeros(64, dtype=np.int64)
     for at in range(0, len(h), 4096):
         part = h[at : at + 4096]
@@ -217,19 +222,6 @@ def hex_code(fp: Column) -> Column:
     return F.lpad(F.lower(F.hex(fp)), 16, "0")
 
 
-def keep_one_of_each(docs: DataFrame, width: int = 5, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """One row of each group of near copies, the one with the least id, with the columns of ``docs``.
-
-    Rows without an id are near copies of nothing and stay.
-    """
-    own = docs.where(F.col(key).isNotNull())
-    groups = materialise(simhash_components(own, width, text, key), "near-copies")
-    first = own.join(groups.where("key <> component").select(F.col("key").alias(key)), key, "left_anti").select(*docs.columns)
-    if not groups.groupBy("key").count().where("count > 1").isEmpty():  # rows that repeat an id
-        first = first.dropDuplicates([key])
-    return first.union(docs.where(F.col(key).isNull()))
-
-
 def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Fingerprint and component of every document."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
