@@ -14,10 +14,16 @@ from pyspark.sql import functions as F
 from motifmill.functions.scratch import materialise
 
 
+#: Parts into which the neighbours of a node are dealt: the root of a large star is no single key.
+SALTS = 8
+
+
 def _least(pairs: DataFrame) -> DataFrame:
     """(u, v) with the least of v and u itself for each u beside every v."""
     least = pairs.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("m", "u"))
-    return pairs.join(least, "u")
+    dealt = least.withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
+    salt = F.pmod(F.xxhash64("v"), F.lit(SALTS)).cast("int")
+    return pairs.withColumn("salt", salt).join(dealt, ["u", "salt"]).drop("salt")
 
 
 def _state(edges: DataFrame) -> tuple:

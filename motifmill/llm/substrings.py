@@ -23,9 +23,18 @@ exchange, and of units with one representative at most two are sent to meet thos
 other tasks, while the rest is compared by window anyway. A passage that a third of
 all documents share so sends a few rows from each task, whatever its frequency.
 
-Nulls: a null text has no words; a null id comes before all others. Rows that repeat
-id and text are one document; texts with the same id are ordered by a hash of the
-text. An empty table gives an empty result. Further columns are dropped.
+A unit that repeats inside a slice is remembered for the slices after it (``HOT`` of
+them at most), so a task sends a frequent unit once and not once a slice.
+
+A document is known by its id and a turn: zero while no id comes with two texts, else a
+hash of the text. A row without an id takes two hashes of its text in their place. So no
+step gathers the rows of one id, and rows without an id are as many documents as texts.
+
+Nulls: a null text has no words; rows without an id come before all others, in the order
+of a hash of the text. Rows that repeat id and text are one document; texts with the same
+id are ordered by a hash of the text. Texts of fewer than 20 words, alone or not, lose
+nothing. A very long text is parsed by the task that holds its row. An empty table gives
+an empty result. Further columns are dropped.
 """
 
 from __future__ import annotations
@@ -39,16 +48,17 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from motifmill.functions.scratch import materialise, release
+from motifmill.functions.scratch import materialise
 from motifmill.llm.words import byte_slices
 
 WINDOW = 20
 ROUNDS = 2
 #: Bytes of text that a task parses at once.
 CHUNK_BYTES = 6 << 20
-#: Bits of a start that count words; the bits above number texts with the same id.
-PLACE_BITS = 40
-NO_ID = -(1 << 63)
+#: Added to the starts of rows without an id, which come first.
+LOST = -(1 << 62)
+#: Repeated units that a task remembers.
+HOT = 100_000
 NONE = np.uint64(0xFFFFFFFFFFFFFFFF)
 MASK64 = (1 << 64) - 1
 
@@ -70,7 +80,7 @@ FACTORS = [factors(11, WINDOW), factors(12, WINDOW)]
 def window_hash(words: np.ndarray, width: int, m: list[np.uint64]) -> np.ndarray:
     """Hash of the ``width`` words from each place on; the last places are meaningless."""
     out = words * m[0]
-    for k in range(1, width):
+    for k in range(1, min(width, len(words))):
         out[: len(words) - k] += words[k:] * m[k]
     return mix(out)
 
@@ -177,38 +187,64 @@ def units(chunk: Chunk) -> dict[str, np.ndarray]:
 
 # Rows of an exchange: 0 meets others, 1 is compared by window, 2 is a repeat.
 MEETS, BY_WINDOW, REPEAT = 0, 1, 2
-ROWS = "route bigint, u1 bigint, u2 bigint, doc bigint, at bigint, pack int"
+ROWS = "route bigint, u1 bigint, u2 bigint, doc bigint, turn bigint, at bigint, pack int"
 
 
-def _first_of_equals(h1: np.ndarray, h2: np.ndarray, doc: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(places of the first of all equal rows, places of later ones that are other occurrences)."""
-    order = np.lexsort((at, doc, h2, h1))
-    h1, h2, doc, at = h1[order], h2[order], doc[order], at[order]
+def _first_of_equals(h1: np.ndarray, h2: np.ndarray, doc: np.ndarray, turn: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(places of the first of all equal rows, places of later ones that are other occurrences, for each first whether there are any)."""
+    order = np.lexsort((at, turn, doc, at >= 0, h2, h1))
+    h1, h2, doc, turn, at = h1[order], h2[order], doc[order], turn[order], at[order]
     same = np.zeros(len(order), dtype=bool)
     same[1:] = (h1[1:] == h1[:-1]) & (h2[1:] == h2[:-1])
     moved = same.copy()
-    moved[1:] &= (doc[1:] != doc[:-1]) | (at[1:] != at[:-1])
-    return order[~same], order[moved]
+    moved[1:] &= (doc[1:] != doc[:-1]) | (turn[1:] != turn[:-1]) | (at[1:] != at[:-1])
+    again = np.append(moved[1:], False)[~same] if len(order) else moved
+    return order[~same], order[moved], again
 
 
-def _batch(route, u1, u2, doc, at, n, kind) -> pa.RecordBatch:
-    cols = [x.view(np.int64) if x.dtype == np.uint64 else x.astype(np.int64) for x in (route, u1, u2, doc, at)]
-    return pa.RecordBatch.from_arrays([pa.array(x) for x in cols] + [pa.array((kind * 64 + n).astype(np.int32))], ["route", "u1", "u2", "doc", "at", "pack"])
+def _batch(route, u1, u2, doc, turn, at, n, kind) -> pa.RecordBatch:
+    cols = [x.view(np.int64) if x.dtype == np.uint64 else x.astype(np.int64) for x in (route, u1, u2, doc, turn, at)]
+    return pa.RecordBatch.from_arrays([pa.array(x) for x in cols] + [pa.array((kind * 64 + n).astype(np.int32))], ["route", "u1", "u2", "doc", "turn", "at", "pack"])
 
 
-def _scatter(doc: np.ndarray, at: np.ndarray) -> np.ndarray:
-    return mix(doc.astype(np.int64).view(np.uint64) * np.uint64(5) + at.astype(np.int64).view(np.uint64))
+def _scatter(doc: np.ndarray, turn: np.ndarray, at: np.ndarray) -> np.ndarray:
+    return mix(doc.astype(np.int64).view(np.uint64) * np.uint64(5) + mix(turn.astype(np.int64).view(np.uint64) + at.astype(np.int64).view(np.uint64)))
+
+
+class HotUnits:
+    """The least place sent so far of units that repeat, at most ``HOT`` of them."""
+
+    def __init__(self):
+        self.sent: dict[tuple[int, int], tuple] = {}
+
+    def split(self, u1: list[int], u2: list[int], places: list[tuple], again: list[bool]) -> np.ndarray:
+        """For each distinct unit of a slice: 0 goes on, 1 repeats one that was sent, 2 is the one that was sent."""
+        out = np.zeros(len(u1), dtype=np.int8)
+        for k, unit in enumerate(zip(u1, u2, strict=True)):
+            before = self.sent.get(unit)
+            if before is not None and before <= places[k]:
+                out[k] = 2 if before == places[k] else 1
+            elif before is not None or again[k] and len(self.sent) < HOT:
+                self.sent[unit] = places[k]
+        return out
 
 
 def _unit_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc, turn, text) to rows of units."""
-    for batch in byte_slices(batches, 2, CHUNK_BYTES):
-        chunk = Chunk(batch.column(2))
+    """(doc, turn, lost, text) to rows of units."""
+    hot = HotUnits()
+    for batch in byte_slices(batches, 3, CHUNK_BYTES):
+        chunk = Chunk(batch.column(3))
         u = units(chunk)
         text = chunk.text_of(u["first"])
-        doc = batch.column(0).to_numpy(zero_copy_only=False)[text]
-        at = u["first"] - chunk.first[text] + (batch.column(1).to_numpy(zero_copy_only=False).astype(np.int64)[text] << PLACE_BITS)
-        firsts, repeats = _first_of_equals(u["u1"], u["u2"], doc, at)
+        doc, turn, at = _places(batch, chunk, text, u["first"])
+        firsts, repeats, again = _first_of_equals(u["u1"], u["u2"], doc, turn, at)
+        known = np.flatnonzero(again | np.isin(u["u1"][firsts], np.fromiter((x[0] for x in hot.sent), np.uint64, len(hot.sent))))
+        if len(known):
+            of = firsts[known]
+            places = list(zip((at[of] >= 0).tolist(), doc[of].tolist(), turn[of].tolist(), at[of].tolist(), strict=True))
+            fate = hot.split(u["u1"][of].tolist(), u["u2"][of].tolist(), places, again[known].tolist())
+            repeats = np.append(repeats, of[fate == 1])
+            firsts = np.delete(firsts, known[fate > 0])
         firsts = firsts[np.argsort(u["key"][firsts], kind="stable")]
         key = u["key"][firsts]
         third = np.zeros(len(key), dtype=bool)
@@ -218,102 +254,101 @@ def _unit_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         of = np.concatenate([sent, rest, repeats])
         meets = kind == MEETS
         zero = np.uint64(0)
-        yield _batch(np.where(meets, u["key"][of], _scatter(doc[of], at[of])), np.where(meets, u["u1"][of], zero), np.where(meets, u["u2"][of], zero), doc[of], at[of], u["n"][of], kind)
+        yield _batch(np.where(meets, u["key"][of], _scatter(doc[of], turn[of], at[of])), np.where(meets, u["u1"][of], zero), np.where(meets, u["u2"][of], zero), doc[of], turn[of], at[of], u["n"][of], kind)
+
+
+def _places(batch: pa.RecordBatch, chunk: Chunk, text: np.ndarray, where: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(doc, turn, at) of places of a chunk's texts."""
+    doc, turn, lost = (batch.column(k).to_numpy(zero_copy_only=False)[text] for k in range(3))
+    return doc, turn, where - chunk.first[text] + np.where(lost, LOST, 0)
 
 
 def _window_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc, turn, text, at array, n array) to rows of the windows named."""
-    for batch in byte_slices(batches, 2, CHUNK_BYTES):
-        chunk = Chunk(batch.column(2))
-        starts, sizes = batch.column(3), batch.column(4)
+    """(doc, turn, lost, text, at array, n array) to rows of the windows named."""
+    for batch in byte_slices(batches, 3, CHUNK_BYTES):
+        chunk = Chunk(batch.column(3))
+        starts, sizes = batch.column(4), batch.column(5)
         of = np.repeat(np.arange(batch.num_rows), starts.value_lengths().to_numpy(zero_copy_only=False))
         at, n = starts.flatten().to_numpy(), sizes.flatten().to_numpy().astype(np.int64)
-        turn = batch.column(1).to_numpy(zero_copy_only=False).astype(np.int64)
-        own = (at >> PLACE_BITS) == turn[of]
-        of, at, n = of[own], at[own], n[own]
         step = np.arange(int(n.sum())) - np.repeat(np.append(0, np.cumsum(n)[:-1]), n)
-        of, at = np.repeat(of, n), np.repeat(at, n) + step
+        of, at = np.repeat(of, n), np.repeat(np.where(at < 0, at - LOST, at), n) + step
         h1, h2 = chunk.hashes()
-        place = chunk.first[of] + (at & ((1 << PLACE_BITS) - 1))
-        h1, h2, doc = h1[place], h2[place], batch.column(0).to_numpy(zero_copy_only=False)[of]
-        firsts, repeats = _first_of_equals(h1, h2, doc, at)
+        place = chunk.first[of] + at
+        h1, h2 = h1[place], h2[place]
+        doc, turn, at = _places(batch, chunk, of, place)
+        firsts, repeats, _ = _first_of_equals(h1, h2, doc, turn, at)
         both = np.concatenate([firsts, repeats])
         kind = np.repeat([MEETS, REPEAT], [len(firsts), len(repeats)])
         meets, zero = kind == MEETS, np.uint64(0)
-        yield _batch(np.where(meets, h1[both], _scatter(doc[both], at[both])), np.where(meets, h1[both], zero), np.where(meets, h2[both], zero), doc[both], at[both], np.ones(len(both), dtype=np.int64), kind)
+        yield _batch(np.where(meets, h1[both], _scatter(doc[both], turn[both], at[both])), np.where(meets, h1[both], zero), np.where(meets, h2[both], zero), doc[both], turn[both], at[both], np.ones(len(both), dtype=np.int64), kind)
 
 
 def _met(rows: DataFrame) -> DataFrame:
-    """(doc, at, n, repeat, open): after meeting, whether a row repeats an earlier one, and whether its windows are still open."""
+    """(doc, turn, at, n, repeat, open): after meeting, whether a row repeats an earlier one, and whether its windows are still open."""
     kind = F.shiftright("pack", 6)
-    within = Window.partitionBy("route").orderBy("pack_kind", "u1", "u2", "doc", "at")
+    within = Window.partitionBy("route").orderBy("pack_kind", "u1", "u2", F.col("at") >= 0, "doc", "turn", "at")
     whole = within.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     before = F.lag(F.struct("u1", "u2")).over(within)
-    place = F.lag(F.struct("doc", "at")).over(within)
+    place = F.lag(F.struct("doc", "turn", "at")).over(within)
     meets = F.col("pack_kind") == MEETS
     seen = (
         rows.withColumn("pack_kind", kind)
         .withColumn("same", F.coalesce(before == F.struct("u1", "u2"), F.lit(False)) & meets)
-        .withColumn("moved", F.coalesce(place != F.struct("doc", "at"), F.lit(False)))
+        .withColumn("moved", F.coalesce(place != F.struct("doc", "turn", "at"), F.lit(False)))
         .withColumn("others", F.min("u1").over(whole) != F.max("u1").over(whole))
     )
     return seen.select(
-        "doc", "at", F.col("pack").bitwiseAND(63).alias("n"),
+        "doc", "turn", "at", F.col("pack").bitwiseAND(63).alias("n"),
         ((F.col("pack_kind") == REPEAT) | (F.col("same") & F.col("moved"))).alias("repeat"),
         ((F.col("pack_kind") == BY_WINDOW) | (meets & ~F.col("same") & F.col("others"))).alias("open"),
     )
 
 
-def _ranges(marks: DataFrame) -> DataFrame:
-    """(doc, at array, n array): a document's ranges, which its length bounds."""
-    return marks.groupBy("doc").agg(F.collect_list(F.struct("at", "n")).alias("r")).select(F.col("doc").alias("of"), F.col("r.at").alias("at"), F.col("r.n").alias("n"))
+def _with_ranges(rows: DataFrame, marks: DataFrame, how: str) -> DataFrame:
+    """Adds (at array, n array), a document's ranges, which its length bounds."""
+    ranges = marks.groupBy("doc", "turn", (F.col("at") < 0).alias("lost")).agg(F.collect_list(F.struct("at", "n")).alias("r"))
+    return rows.join(ranges, ["doc", "turn", "lost"], how).select("doc", "turn", "lost", "text", F.col("r.at").alias("at"), F.col("r.n").alias("n"))
 
 
 def _numbered(docs: DataFrame, text: str, key: str) -> DataFrame:
-    """(doc, turn, text): the id without nulls, and the number of a text among those with its id."""
-    rows = docs.select(F.coalesce(F.col(key).cast("bigint"), F.lit(NO_ID)).alias("doc"), F.col(text).alias("text"))
+    """(doc, turn, lost, text): what a row is known by, and whether it has no id."""
+    rows = docs.select(F.col(key).cast("bigint").alias("id"), F.col(text).alias("text"))
     digest = F.xxhash64(F.coalesce("text", F.lit("")))
-    shared = materialise(rows.select("doc", digest.alias("h")).groupBy("doc").agg(F.min("h").alias("a"), F.max("h").alias("b")).where("a <> b").select("doc"), "shared-ids")
-    if shared.isEmpty():
-        return rows.select("doc", F.lit(0).alias("turn"), "text")
-    of = rows.select("doc", digest.alias("h")).distinct().join(shared, "doc", "left_semi")
-    turns = of.select(F.col("doc").alias("d"), "h", (F.row_number().over(Window.partitionBy("doc").orderBy("h")) - 1).alias("t"))
-    return rows.join(turns, (F.col("doc") == F.col("d")) & (digest == F.col("h")), "left").select("doc", F.coalesce("t", F.lit(0)).alias("turn"), "text")
+    by_id = rows.where("id is not null").groupBy("id").agg((F.min(digest) != F.max(digest)).alias("two"))
+    shared = by_id.agg(F.max("two")).first()[0]
+    lost = F.col("id").isNull()
+    other = F.xxhash64(F.lit("turn"), F.coalesce("text", F.lit("")))
+    return rows.select(F.coalesce("id", digest).alias("doc"), F.when(lost, other).otherwise(digest if shared else F.lit(0)).alias("turn"), lost.alias("lost"), "text")
 
 
 def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc, turn, text, at, n) to (doc, n_words, n_removed, kept)."""
-    for batch in byte_slices(batches, 2, CHUNK_BYTES):
+    """(doc, turn, lost, text, at, n) to (doc, lost, n_words, n_removed, kept)."""
+    for batch in byte_slices(batches, 3, CHUNK_BYTES):
         out = []
-        for turn, text, ats, ns in zip(*[batch.column(k).to_pylist() for k in range(1, 5)], strict=True):
+        for text, ats, ns in zip(*[batch.column(k).to_pylist() for k in range(3, 6)], strict=True):
             words = (text or "").encode().split()
             gone = np.zeros(len(words) + 1, dtype=np.int64)
             for at, n in zip(ats or [], ns or [], strict=True):
-                if at >> PLACE_BITS == turn:
-                    start = at & ((1 << PLACE_BITS) - 1)
-                    gone[start] += 1
-                    gone[start + n + WINDOW - 1] -= 1
+                start = at - LOST if at < 0 else at
+                gone[start] += 1
+                gone[start + n + WINDOW - 1] -= 1
             keep = np.cumsum(gone[:-1]) == 0
             kept = words if keep.all() else [words[k] for k in np.flatnonzero(keep).tolist()]
             out.append((len(words), len(words) - len(kept), b" ".join(kept)))
         n_words, n_removed, kept = zip(*out, strict=True) if out else ((), (), ())
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(kept, pa.binary()).cast(pa.string())], ["doc", "n_words", "n_removed", "kept"])
+        columns = [batch.column(0), batch.column(2), pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(kept, pa.binary()).cast(pa.string())]
+        yield pa.RecordBatch.from_arrays(columns, ["doc", "lost", "n_words", "n_removed", "kept"])
 
 
 def remove_repeats(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
     """(key, n_words, n_removed, kept): every row's text without words of windows that start earlier elsewhere."""
-    spark = docs.sparkSession
     rows = _numbered(docs, text, key)
-    met = _met(rows.mapInArrow(_unit_rows, ROWS)).where("repeat or open")
-    marks = materialise(met, "unit-marks")
-    release(spark)
-    near = rows.join(_ranges(marks.where("open")), F.col("doc") == F.col("of")).select("doc", "turn", "text", "at", "n")
-    windows = materialise(_met(near.mapInArrow(_window_rows, ROWS)).where("repeat").select("doc", "at", "n"), "window-marks")
-    release(spark)
-    repeats = _ranges(marks.where("repeat").select("doc", "at", "n").union(windows))
-    final = rows.join(repeats, F.col("doc") == F.col("of"), "left").select("doc", "turn", "text", "at", "n")
-    done = final.mapInArrow(_remove, "doc bigint, n_words bigint, n_removed bigint, kept string")
-    return done.select(F.when(F.col("doc") != NO_ID, F.col("doc")).alias("key"), "n_words", "n_removed", "kept")
+    marks = materialise(_met(rows.mapInArrow(_unit_rows, ROWS)).where("repeat or open"), "unit-marks")
+    near = _with_ranges(rows, marks.where("open"), "inner")
+    windows = materialise(_met(near.mapInArrow(_window_rows, ROWS)).where("repeat").select("doc", "turn", "at", "n"), "window-marks")
+    final = _with_ranges(rows, marks.where("repeat").select("doc", "turn", "at", "n").union(windows), "left")
+    done = final.mapInArrow(_remove, "doc bigint, lost boolean, n_words bigint, n_removed bigint, kept string")
+    return done.select(F.when(~F.col("lost"), F.col("doc")).alias("key"), "n_words", "n_removed", "kept")
 
 
 def op7_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
