@@ -1,20 +1,26 @@
 """BPE encoding and decoding with the tokenizers library, exact for texts of any length.
 
-Encoding cuts a text only where no token can cross, at white space, and keeps a
-bounded memo of the pieces' ids. Unsplit text that is longer than ``LONG`` goes
-through tree concatenation: it is halved down to leaves, the leaves are encoded
-in parallel, and neighbours are joined level by level. Around each join a window
-of a few tokens is encoded again, and grows until its first token is one that the
-left side has there and some token near its end is one that the right side has.
-Every two neighbouring tokens of the result have then been neighbours in some
-encoding, and that makes a sequence of BPE tokens the encoding of its text.
+Texts of more than ``PART`` bytes go through tree concatenation: a text is halved down
+to parts, wherever the halves fall, the parts of all texts at hand are encoded together,
+and neighbours are joined level by level. Around each join a window is encoded again that
+begins and ends where no token can cross, at plain white space some way from the join; it
+grows until its first token is the left side's and its last one the right side's, and
+takes the place of what the sides had there.
+
+A part is encoded by its pieces, between places that no token crosses, with a bounded
+memo of the pieces' ids. A text with an unsplit piece of ``LONG`` characters and more
+has its own tree over the tokens: the window around a join is a few tokens wide, and grows
+until its first token is one that the left side has there and some token near its end is
+one that the right side has. Every two neighbouring tokens of the result have then been
+neighbours in some encoding, and that makes a sequence of BPE tokens the encoding.
 
 Two ways of cutting are known: ``drop_space`` for tokenizers that lose white space
 between words, ``lead_space`` for byte-level ones that attach one space to the word
 after it. Special tokens that occur in a text become their ids, as in the library.
 
 Nulls: a null text is the empty text and has no tokens. Repeated rows are encoded
-each. An empty table gives an empty result.
+each. A very long text is one row of one task, which holds its ids. An empty table gives
+an empty result; columns that are not carried are dropped.
 """
 
 from __future__ import annotations
@@ -37,6 +43,8 @@ from motifmill.llm.words import byte_slices, raw_texts, slices
 
 #: Characters of unsplit text from which the tree is used, and of its leaves.
 LONG, LEAF = 8192, 2048
+#: Bytes of text from which it is halved, and bytes on each side of a join that its first window has.
+PART, NEAR = 1024, 8
 #: Bytes of text that are split and looked up at once.
 SLICE_BYTES = 8 << 20
 #: Pieces in a generation of a worker's memo.
@@ -48,6 +56,10 @@ LEADS = sorted({x[:2] for x in UNSAFE})
 ASCII_WHITE = bytes(0x0A if c in WHITE and c < 0x20 else c for c in range(256))
 STOPS = (b".", b",", b";", b":", b"!", b"?")
 
+#: Where no token crosses in a text and its parts: before a space between letters, digits or stops (byte-level), or any ASCII white space.
+BEFORE_SPACE = re.compile(rb"(?<=[0-9A-Za-z.,;:]) (?=[0-9A-Za-z])")
+ANY_SPACE = re.compile(rb"[\x20\x09-\x0D]")
+UNSPLIT = re.compile(rb"[^\x20\x09-\x0D]{%d}" % LONG)
 LATIN_END = "\u0250"
 #: Characters that stand for bytes in byte-level vocabularies: printable ones for themselves, the rest from U+0100 on.
 _PRINTABLE = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
@@ -64,6 +76,33 @@ class Span:
         self.ids, self.starts, self.ends = ids, starts, ends
 
 
+def _halves(text: bytes) -> list[bytes]:
+    """A text in 2^n parts of about PART bytes at most, cut at characters wherever halving falls."""
+    count = 1
+    while len(text) > PART * count:
+        count *= 2
+    bounds = [len(text) * k // count for k in range(count + 1)]
+    for k in range(1, count):
+        while bounds[k] < len(text) and text[bounds[k]] & 0xC0 == 0x80:
+            bounds[k] += 1
+    return [text[a:b] for a, b in zip(bounds, bounds[1:], strict=False)]
+
+
+def _last_cut(cut: re.Pattern, text: bytes, end: int) -> int:
+    """Place of the last cut before ``end``, 0 if there is none."""
+    step = 64
+    while end > 0:
+        found = None
+        for found in cut.finditer(text, max(0, end - step), end):
+            pass
+        if found:
+            return found.start()
+        if step >= end:
+            return 0
+        step *= 4
+    return 0
+
+
 class Codec:
     """One tokenizer file: encodes and decodes batches of texts."""
 
@@ -79,6 +118,7 @@ class Codec:
         self.lead_space = ids(" b") != ids("b")
         self.memo: dict[bytes | tuple[bytes], bytes] = {}
         self.older: dict[bytes | tuple[bytes], bytes] = {}
+        self.joins = self.windows = 0
         self.model = self.tok.model
         self.tokenize = self.model.tokenize
         self.line_end = np.array(ids("\n"), dtype="<u4").tobytes()
@@ -133,6 +173,62 @@ class Codec:
             values, bounds = np.concatenate(parts), np.append(0, np.cumsum([len(x) for x in parts]))
         return pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(values, pa.int32()))
 
+    def encode_texts(self, column: pa.Array) -> pa.ListArray:
+        """The same as ``encode_column`` by way of halves, for each text longer than PART; ``joins`` and ``windows`` count what it took."""
+        raw = raw_texts(column)
+        parts, owners, whole = [], [], {}
+        for k, text in enumerate(raw):
+            if len(text) > LONG and UNSPLIT.search(text):
+                whole[k] = np.frombuffer(self.encode_unsplit(text.decode()), dtype="<i4")
+                text = b""
+            halves = _halves(text)
+            parts += halves
+            owners.append(len(halves))
+        found = self.encode_column(pa.array(parts, pa.binary()))
+        flat, ends = found.values.to_numpy(), found.offsets.to_numpy()
+        ids = [flat[a:b] for a, b in zip(ends, ends[1:], strict=False)]
+        while len(parts) > len(owners):
+            left, at = [], 0
+            for n in owners:
+                left += range(at, at + n - 1, 2) if n > 1 else []
+                at += n
+            joined = self._join_parts([(parts[k], ids[k], parts[k + 1], ids[k + 1]) for k in left])
+            for k, (text, x) in zip(left, joined, strict=True):
+                parts[k], ids[k] = text, x
+            gone = {k + 1 for k in left}
+            parts, ids = ([x for k, x in enumerate(y) if k not in gone] for y in (parts, ids))
+            owners = [n // 2 if n > 1 else 1 for n in owners]
+        ids = [whole.get(k, x) for k, x in enumerate(ids)]
+        bounds = np.append(0, np.cumsum([len(x) for x in ids])).astype(np.int32)
+        return pa.ListArray.from_arrays(pa.array(bounds), pa.array(np.concatenate([*ids, np.zeros(0, np.int32)]), pa.int32()))
+
+    def _join_parts(self, pairs: list[tuple[bytes, np.ndarray, bytes, np.ndarray]]) -> list[tuple[bytes, np.ndarray]]:
+        """Text and ids of each two neighbours together, from windows around the joins."""
+        cut = BEFORE_SPACE if self.lead_space else ANY_SPACE
+        out: list[tuple[bytes, np.ndarray] | None] = [None] * len(pairs)
+        near, open_ = NEAR, list(range(len(pairs)))
+        while open_:
+            tails, heads = [], []
+            for k in open_:
+                a, _, b, _ = pairs[k]
+                tails.append(a[_last_cut(cut, a, len(a) - near) :])
+                found = cut.search(b, near) if near < len(b) else None
+                heads.append(b[: found.start()] if found else b)
+            ids = self.encode_column(pa.array([*tails, *heads, *[t + h for t, h in zip(tails, heads, strict=True)]], pa.binary()))
+            flat, ends = ids.values.to_numpy(), ids.offsets.to_numpy()
+            n, left = len(open_), []
+            self.windows += n
+            for j, k in enumerate(open_):
+                (tail, head, both), (a, x, b, y) = (flat[ends[i] : ends[i + 1]] for i in (j, n + j, 2 * n + j)), pairs[k]
+                agree = (len(tails[j]) == len(a) or both[:1].tolist() == tail[:1].tolist()) and (len(heads[j]) == len(b) or both[-1:].tolist() == head[-1:].tolist())
+                if agree:
+                    out[k] = a + b, np.concatenate([x[: len(x) - len(tail)], both, y[len(head) :]])
+                else:
+                    left.append(k)
+            open_, near = left, near * 4
+        self.joins += len(pairs)
+        return out
+
     def _look_up(self, keys: list) -> list[bytes]:
         """Id bytes of distinct pieces; for byte-level tokenizers a piece comes after a space unless it is in a tuple."""
         if len(self.memo) > MEMO:  # two generations: what is asked for again moves to the new one
@@ -297,7 +393,7 @@ def encode_documents(docs: DataFrame, path: str, text: str = "text", key: str =
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(path)
         for batch in byte_slices(batches, 1, SLICE_BYTES):
-            ids = own.encode_column(batch.column(1))
+            ids = own.encode_texts(batch.column(1))
             columns = [batch.column(0), ids]
             if decode:
                 flat, ends = ids.values.to_numpy(), ids.offsets.to_pylist()

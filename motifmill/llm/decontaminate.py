@@ -7,10 +7,12 @@ item's score against itself less its best-weighted words, as many as may be
 missing. Impacts are divided by it, so every item is wanted from a score of 1 and
 no leaking passage can fall below.
 
-Retrieval of all items from 1 up is by upper bounds, as in block-max WAND: the
-best impact of each term first drops whole passages, the best impacts of a term in
-each block of items then drop blocks, and only what is left is scored exactly. Then
-the shingles of question (all sentences but the last) and answer (the last one) are
+Retrieval of all items from 1 up is block-max WAND. The best impact of each term and
+the best impacts of a term in each block of items first rule out passages, many at a
+time. A passage that is left walks its terms' postings item by item: cursors are kept in
+the order of their items, the first at which the terms' bounds add up to 1 is the pivot,
+a pivot whose block bounds fall short moves the cursors past the block, and only a pivot
+that all cursors before it have reached is scored. Then the shingles of question (all sentences but the last) and answer (the last one) are
 compared: a document leaks an item if one passage has the share ``OVERLAP`` of the
 shingles of both, or of the whole item.
 
@@ -23,8 +25,9 @@ no broadcast grows with the benchmark. Impacts use the statistics of their part,
 which does not change the result.
 
 Nulls: a null text has no words and neither leaks nor is leaked. Repeated documents
-are judged each; repeated item ids count as one item in the result. Empty tables give
-empty results.
+are judged each; repeated item ids count as one item in the result. A very long text is
+searched passage by passage, with all its passages. Empty tables give empty results;
+further columns are dropped (``drop_leaking`` keeps them).
 """
 
 from __future__ import annotations
@@ -48,7 +51,11 @@ ITEM_BLOCK = 8
 PART_BYTES = 32 << 20
 #: Bytes of text that are searched at once, and words whose terms a worker keeps.
 SLICE_BYTES = 2 << 20
+#: Pairs of a passage and a block of items whose bounds are added up at once.
+CELLS = 1 << 22
 MEMO = 200_000
+#: Bounds are compared with a little less than 1: they are added up in another order than scores.
+NEARLY = 1 - 1e-9
 RESULT = "key {kind}, item_id bigint, question_overlap double, answer_overlap double, overlap double, score double"
 
 
@@ -142,23 +149,64 @@ class BlockMaxIndex:
         return np.repeat(a - np.append(0, np.cumsum(n)[:-1]), n) + np.arange(int(n.sum()))
 
     def search(self, passage: np.ndarray, term: np.ndarray, n: int) -> list[tuple[int, int, float]]:
-        """(passage, item, score) of all scaled scores from 1 up; ``term`` are the distinct terms of ``passage``, sorted by passage.
-
-        Passages whose terms' bounds do not reach 1 go first, then blocks of items; only the rest is scored.
-        """
-        alive = np.bincount(passage, self.bound[term], minlength=n) >= 1
+        """(passage, item, score) of all scaled scores from 1 up; ``term`` are the distinct terms of ``passage``, sorted by passage."""
+        blocks, out = len(self.items) // ITEM_BLOCK + 1, []
+        alive = np.bincount(passage, self.bound[term], minlength=n) >= NEARLY
         keep = alive[passage]
         passage, term = passage[keep], term[keep]
-        blocks = len(self.items) // ITEM_BLOCK + 1
-        at, of = self._ranges(self.block_first, term), self.block_first[term + 1] - self.block_first[term]
-        cell = np.repeat(passage, of) * blocks + self.block_of[at]
-        wanted = np.bincount(cell, self.block_bound[at], minlength=n * blocks) >= 1
-        at, of = at[wanted[cell]], np.repeat(passage, of)[wanted[cell]]
-        a, size = self.block_start[at], self.block_start[at + 1] - self.block_start[at]
-        at = np.repeat(a - np.append(0, np.cumsum(size)[:-1]), size) + np.arange(int(size.sum()))
-        cell, where = np.unique(np.repeat(of, size) * len(self.items) + self.item[at], return_inverse=True)
-        score = np.bincount(where, self.weight[at], minlength=len(cell))
-        return [(int(c) // len(self.items), int(c) % len(self.items), float(x)) for c, x in zip(cell[score >= 1], score[score >= 1], strict=True)]
+        step = max(1, CELLS // blocks)
+        for base in range(0, n, step):
+            a, b = np.searchsorted(passage, [base, base + step])
+            if a == b:
+                continue
+            own, terms = passage[a:b], term[a:b]
+            at, of = self._ranges(self.block_first, terms), self.block_first[terms + 1] - self.block_first[terms]
+            cell = np.repeat(own - base, of) * blocks + self.block_of[at]
+            left = np.flatnonzero(np.bincount(cell, self.block_bound[at]) >= NEARLY) // blocks + base
+            for p in np.unique(left).tolist():
+                x, y = np.searchsorted(own, [p, p + 1])
+                out += [(p, item, score) for item, score in self.walk(terms[x:y].tolist())]
+        return out
+
+    def walk(self, terms: list[int]) -> list[tuple[int, float]]:
+        """(item, score) of all items from a score of 1 up, by pivots."""
+        out = []
+        cursors = [[int(self.item[self.first[t]]), int(self.first[t]), t] for t in terms]  # item, place in the postings, term
+        while cursors:
+            cursors.sort()
+            total, pivot = 0.0, None
+            for pivot, (item, _, t) in enumerate(cursors):
+                total += self.bound[t]
+                if total >= NEARLY:
+                    break
+            else:
+                return out
+            while pivot + 1 < len(cursors) and cursors[pivot + 1][0] == item:
+                pivot += 1
+            block = item // ITEM_BLOCK
+            if sum(self._block_bound(t, block) for _, _, t in cursors[: pivot + 1]) < NEARLY:
+                goal = (block + 1) * ITEM_BLOCK
+                if pivot + 1 < len(cursors):
+                    goal = min(goal, cursors[pivot + 1][0])
+            elif cursors[0][0] == item:
+                score = float(sum(self.weight[at] for _, at, _ in cursors[: pivot + 1]))
+                if score >= 1:
+                    out.append((item, score))
+                goal = item + 1
+            else:
+                goal = item
+            for c in cursors[: pivot + 1]:
+                if c[0] < goal:
+                    end = int(self.first[c[2] + 1])
+                    c[1] += int(np.searchsorted(self.item[c[1] : end], goal))
+                    c[0] = int(self.item[c[1]]) if c[1] < end else -1
+            cursors = [c for c in cursors if c[0] >= 0]
+        return out
+
+    def _block_bound(self, term: int, block: int) -> float:
+        a, b = self.block_first[term], self.block_first[term + 1]
+        at = a + np.searchsorted(self.block_of[a:b], block)
+        return self.block_bound[at] if at < b and self.block_of[at] == block else 0.0
 
 
 class TermMemo(dict):
@@ -214,12 +262,18 @@ def leaks(texts: list[str | None], index: BlockMaxIndex, stride: int, memo: Term
 
 def index_parts(items: DataFrame, item_key: str = "item_id", item_text: str = "text") -> Iterator[tuple[BlockMaxIndex, int]]:
     """Indexes of parts of the items, each over about PART_BYTES of text at most, and the stride that all share."""
-    own = items.where(F.col(item_text).isNotNull()).select(F.col(item_key).cast("bigint").alias("i"), F.col(item_text).alias("t"))
-    size = own.agg(F.sum(F.octet_length("t")).alias("bytes"), F.max(F.size(F.split("t", r"\s+"))).alias("longest")).first()
-    parts = (size["bytes"] or 0) // PART_BYTES + 1
+
+    def lengths(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in byte_slices(batches, 0, SLICE_BYTES):
+            yield pa.RecordBatch.from_arrays([pa.array([len(t.split()) for t in batch.column(0).to_pylist()], pa.int64())], ["n"])
+
+    own = items.where(F.col(item_text).isNotNull()).select(F.col(item_key).cast("bigint").alias("i"), F.col(item_text).alias("t")).distinct()
+    longest = own.select("t").mapInArrow(lengths, "n bigint").agg(F.max("n")).first()[0]  # the words that passages are cut by
+    parts = (own.agg(F.sum(F.octet_length("t"))).first()[0] or 0) // PART_BYTES + 1
+    spread = F.xxhash64("i", F.when(F.col("i").isNull(), F.col("t")))
     for part in range(parts):
-        rows = own.where(F.pmod(F.xxhash64("i"), F.lit(parts)) == part).collect()
-        yield BlockMaxIndex([(r[0], r[1]) for r in rows]), max(MIN_STRIDE, size["longest"] or 0)
+        rows = own.where(F.pmod(spread, F.lit(parts)) == part).orderBy("i", "t").collect()
+        yield BlockMaxIndex([(r[0], r[1]) for r in rows]), max(MIN_STRIDE, longest or 0)
 
 
 def find_leaks(docs: DataFrame, items: DataFrame, text: str = "text", key: str = "doc_id", item_key: str = "item_id", item_text: str = "text") -> DataFrame:

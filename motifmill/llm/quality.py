@@ -6,14 +6,17 @@ towards the corpus with a beta prior whose two parameters come from the hosts'
 own rates (method of moments), and the host's verdict is joined back.
 
 A document is kept when it passes the base rules and those of symbols and word
-lengths, and its host's shrunk failure rate is at most ``HOST_LIMIT``. Repeated lines
-alone reject no document (good texts have refrains); they count for the host.
+lengths, and its host's shrunk failure rate is not out of the ordinary. The limit comes
+from the prior: ``HOST_SDS`` standard deviations of the hosts' rates above their mean and
+``HOST_FACTOR`` times the mean at least, at most ``HOST_LIMIT``. Repeated lines alone
+reject no document (good texts have refrains); they count for the host.
 
-Window equality is judged on 64-bit hashes of the five words with their bounds.
+Windows of a text whose 64-bit hashes are equal are compared word by word.
 
 Nulls: a null text has no words and fails; a null host has no host verdict.
-Repeated rows count as often as they occur. An empty table gives an empty result.
-Input columns named like an output are replaced.
+Repeated rows count as often as they occur, ties of a rate with the limit pass. A very
+long text is one row of one task. An empty table gives an empty result. Input columns
+named like an output are replaced.
 """
 
 from __future__ import annotations
@@ -24,8 +27,8 @@ from pyspark.sql import functions as F
 from motifmill.functions.scratch import materialise
 from motifmill.llm.words import SEPARATORS, let, words_column
 
-#: Share of failing documents, after shrinking, above which a host is rejected.
-HOST_LIMIT = 0.5
+#: A host is rejected above this share of failing documents after shrinking, or above less: see ``host_limit``.
+HOST_LIMIT, HOST_FACTOR, HOST_SDS = 0.5, 2.0, 3.0
 #: Prior weights outside this range (in documents) are moved to its ends.
 PRIOR_WEIGHT = (2.0, 10_000.0)
 WINDOW = 5
@@ -46,12 +49,13 @@ def repeated_words(words: Column, width: int = WINDOW) -> Column:
         return F.aggregate(gaps, F.lit(0), lambda a, x: a + x)
 
     def places(pairs: Column) -> Column:
-        same = lambda p, j: F.coalesce(F.get(pairs, j)["h"] == p["h"], F.lit(False))
+        same = lambda p, j: F.coalesce((F.get(pairs, j)["h"] == p["h"]) & (F.get(pairs, j)["w"] == p["w"]), F.lit(False))
         twice = F.filter(pairs, lambda p, i: ((i > 0) & same(p, F.greatest(i - 1, F.lit(0)))) | same(p, i + 1))
         return F.sort_array(F.transform(twice, lambda p: p["i"]))
 
     def count(h: Column) -> Column:
-        pairs = F.array_sort(F.transform(h, lambda x, i: F.struct(x.alias("h"), i.alias("i"))))
+        # only texts with two equal hashes come here; their windows are put in order with their words
+        pairs = F.array_sort(F.transform(h, lambda x, i: F.struct(x.alias("h"), F.slice(words, i + 1, width).alias("w"), i.alias("i"))))
         return F.when(F.size(F.array_distinct(h)) == F.size(h), F.lit(0)).otherwise(let(let(pairs, places), covered))
 
     return F.when(last < 1, F.lit(0)).otherwise(let(hashes, count)).cast("long")
@@ -101,7 +105,14 @@ def host_rates(features: DataFrame, host: str = "source") -> DataFrame:
     ).first()
     alpha, beta = beta_prior(total["docs"] or 0, total["failures"] or 0, total["hosts"], total["squares"] or 0.0)
     shrunk = (F.col("host_failures") + alpha) / (F.col("host_docs") + alpha + beta)
-    return hosts.withColumn("host_rate", shrunk).withColumn("host_failed", F.col("host_rate") > HOST_LIMIT)
+    return hosts.withColumn("host_rate", shrunk).withColumn("host_failed", F.col("host_rate") > host_limit(alpha, beta))
+
+
+def host_limit(alpha: float, beta: float) -> float:
+    """The highest ordinary rate under the prior."""
+    mean = alpha / (alpha + beta)
+    spread = (mean * (1 - mean) / (alpha + beta + 1)) ** 0.5
+    return min(HOST_LIMIT, max(HOST_FACTOR * mean, mean + HOST_SDS * spread))
 
 
 def beta_prior(docs: int, failures: int, hosts: int, squares: float) -> tuple[float, float]:
@@ -138,19 +149,21 @@ def quality_verdicts(docs: DataFrame, text: str = "text", host: str = "source",
 def keep_good(docs: DataFrame, text: str = "text", host: str = "source", key: str = "doc_id") -> DataFrame:
     """The rows that pass, with the columns of ``docs``.
 
-    The rejected hosts are all that the first pass has to deliver. While they are few
-    (their bytes are summed first) they are broadcast, and no text is shuffled.
+    Texts are counted once: the first pass writes the rows that pass by themselves, and of the others host and failure
+    only. The rejected hosts are all that it has to deliver to the second. While they are few (their bytes are summed
+    first) they are broadcast, and no text is shuffled.
     """
-    features = materialise(quality_features(docs, text, host, key), "quality")
-    bad = materialise(host_rates(features, host).where("host_failed").select(F.col(host).alias("__host")), "bad-hosts")
-    size = bad.agg(F.count("*").alias("rows"), F.sum(F.octet_length(F.col("__host").cast("string"))).alias("bytes")).first()
+    counted = docs.select(F.struct(*[F.col(c) for c in docs.columns]).alias("__row"), F.col(host).alias("__host"), document_counts(F.col(text)).alias("__c"))
     within = {k: F.col(f"__c.{k}").alias(k) for k in [*COUNTS, "n_lines"]}
-    rows = docs.select(F.struct(*docs.columns).alias("__row"), F.col(host).alias("__own_host"), document_counts(F.col(text)).alias("__c"))
-    failures = rule_failures()
-    rows = rows.select("__row", "__own_host", *within.values()).where(~F.greatest(*[failures[r] for r in RULES if r != "fail_lines"]))
+    judged = counted.select("__row", "__host", *within.values()).withColumns(rule_failures())
+    own = F.greatest(*[F.col(r) for r in RULES if r != "fail_lines"])
+    first = materialise(judged.select(F.when(~own, F.col("__row")).alias("__row"), "__host", *RULES), "judged")
+    bad = materialise(host_rates(first, "__host").where("host_failed").select(F.col("__host").alias("__bad")), "bad-hosts")
+    size = bad.agg(F.count("*").alias("rows"), F.sum(F.octet_length(F.col("__bad").cast("string"))).alias("bytes")).first()
+    rows = first.where(F.col("__row").isNotNull())
     if size["rows"]:
         small = size["rows"] * 32 + size["bytes"] <= HOSTS_BROADCAST
-        rows = rows.join(F.broadcast(bad) if small else bad, F.col("__own_host") == F.col("__host"), "left_anti")
+        rows = rows.join(F.broadcast(bad) if small else bad, F.col("__host") == F.col("__bad"), "left_anti")
     return rows.select("__row.*")
 
 
@@ -188,9 +201,9 @@ h AS (SELECT source, count(*)::DOUBLE AS n, sum((base_failed OR own_failed OR li
 s AS (SELECT greatest(least(sum(k) / sum(n), 1 - 1e-6), 1e-6) AS m,
              sum(n * (k / n) * (k / n)) / sum(n) - (sum(k) / sum(n)) ** 2 AS v, count(*) / sum(n) AS inv FROM h),
 p AS (SELECT m, CASE WHEN v - m * (1 - m) * inv > 0 THEN greatest(least(m * (1 - m) / (v - m * (1 - m) * inv) - 1, 10000), 2) ELSE 10000 END AS wt FROM s),
-r AS (SELECT source, (k + m * wt) / (n + wt) AS rate FROM h, p)
+r AS (SELECT source, (k + m * wt) / (n + wt) AS rate, least(0.5, greatest(2 * m, m + 3 * sqrt(m * (1 - m) / (wt + 1)))) AS top FROM h, p)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
-       NOT base_failed AND NOT own_failed AND NOT coalesce(rate > 0.5, false) AS kept,
-       coalesce(rate > 0.5, false) AS host_failed
+       NOT base_failed AND NOT own_failed AND NOT coalesce(rate > top, false) AS kept,
+       coalesce(rate > top, false) AS host_failed
 FROM f LEFT JOIN r USING (source)
 """

@@ -3,23 +3,28 @@
 Fingerprints: the words of a text (A-Z lowered) give shingles; a bit is set when
 it is set in over half of the shingles' XXH64 values (seed 42).
 
-Links: fingerprints that differ in at most three bits agree on one of four
-16-bit blocks, so each distinct fingerprint goes to four buckets. Inside a
-bucket the fingerprints are sorted by Gray rank, where neighbours differ in few
-bits; runs of neighbours form leaves, leaves form upper nodes, and every node
-keeps the bits that all its members share. A query walks down from the top and
-drops a whole group as soon as the differences accumulated on the shared bits
-exceed three. Buckets with over ``BUCKET_ROWS`` fingerprints are split exactly:
-what remains to be compared is cut into four smaller blocks, one of which must
-agree as well, and so on, in distributed steps.
-
-A bucket yields a spanning forest of its links, not all pairs; the components
-over all buckets follow by star contraction.
+Index: the distinct fingerprints are sorted by Gray rank, where neighbours differ in few
+bits, and cut into ranges of near-equal numbers. Every range is the root of a tree:
+runs of neighbours form nodes, nodes form upper nodes, and each keeps the bits that all
+its members share. The roots themselves form the top of the same tree, which is small
+(at most ``MAX_RANGES`` roots, one for ``RANGE_ROWS`` fingerprints below that) and known
+to all tasks.
+
+Search: every fingerprint is a query. It walks down from the top and drops a whole group
+as soon as its differences from the group's shared bits exceed three; the roots that are
+left are the ranges it travels to, where it walks on. For every two ranges one sends to
+the other, whichever of the two by the parity of their numbers, which is enough for links
+and halves the travel. With 2^p ranges a query travels to about half of the p-bit
+patterns within three bits of its own, a number that grows with the cube of p and not
+with the data. Nothing is compared outside the tree.
+
+A range yields a spanning forest of the links it has found, not all pairs; the components
+over all ranges follow by star contraction.
 
 Nulls: a null text has no words and fingerprint zero; a null id takes the
 component of its fingerprint (null if no other document is there). Repeated rows
-are linked like copies. An empty table gives an empty result. Input columns named
-like an output are replaced.
+are linked like copies. A very long text is one row of one task. An empty table gives
+an empty result. Input columns named like an output are replaced.
 """
 
 from __future__ import annotations
@@ -38,11 +43,10 @@ from motifmill.llm.words import byte_slices, raw_texts
 
 SEED = 42
 DISTANCE = 3
-#: Fingerprints that one task compares in one bucket; larger buckets are split.
-BUCKET_ROWS = 8192
-LEAF, FAN = 32, 16
-#: Splits of a bucket; after these, 43 bits agree, and a task takes what is left as it is.
-SPLITS = 3
+#: Fingerprints of a range, until there are MAX_RANGES of them; then ranges grow.
+RANGE_ROWS, MAX_RANGES = 8192, 16384
+#: Children of a node, and queries that walk down together.
+FAN, TOGETHER = 4, 2048
 
 
 def shingle_hashes(text: bytes, width: int) -> np.ndarray:
@@ -89,124 +93,173 @@ def gray_rank(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def _shared(ones: np.ndarray, zeros: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
-    starts = np.arange(0, len(ones), size)
-    return np.bitwise_and.reduceat(ones, starts), np.bitwise_and.reduceat(zeros, starts)
-
-
 class GrayIndex:
-    """Static index over distinct fingerprints of one bucket."""
+    """Tree over groups in Gray order; a group is one fingerprint or, at the top of the index, a range.
 
-    def __init__(self, codes: np.ndarray):
-        self.order = np.argsort(gray_rank(codes), kind="stable")
-        self.codes = codes[self.order]
-        self.levels = [_shared(self.codes, ~self.codes, LEAF)]
-        while len(self.levels[-1][0]) > FAN:
-            self.levels.append(_shared(*self.levels[-1], FAN))
+    ``ones`` and ``zeros`` are the bits that all members of a group have set or unset.
+    """
 
-    def near(self, code: np.uint64, distance: int = DISTANCE) -> np.ndarray:
-        """Places (in Gray order) of all members within ``distance`` bits of ``code``."""
-        nodes = np.arange(len(self.levels[-1][0]))
+    def __init__(self, ones: np.ndarray, zeros: np.ndarray, sizes: np.ndarray | None = None):
+        self.levels = [(ones, zeros)]
+        self.sizes = [np.ones(len(ones), dtype=np.int64) if sizes is None else sizes]
+        while len(self.levels[-1][0]) > FAN:
+            starts = np.arange(0, len(self.levels[-1][0]), FAN)
+            self.levels.append(tuple(np.bitwise_and.reduceat(x, starts) for x in self.levels[-1]))
+            self.sizes.append(np.add.reduceat(self.sizes[-1], starts))
+        #: Fingerprints ruled out by an upper node, and those compared one by one.
+        self.pruned = self.compared = 0
+
+    @classmethod
+    def of(cls, codes: np.ndarray) -> GrayIndex:
+        """Over fingerprints that are in Gray order."""
+        return cls(codes, ~codes)
+
+    def near(self, codes: np.ndarray, distance: int = DISTANCE) -> tuple[np.ndarray, np.ndarray]:
+        """(place of the code, place of the group) for all groups whose shared bits differ from the code's in at most ``distance``."""
+        found = [self._near(codes[k : k + TOGETHER], k, distance) for k in range(0, len(codes), TOGETHER)]
+        return tuple(np.concatenate(x) for x in zip(*found, strict=True)) if found else (np.zeros(0, np.int64),) * 2
+
+    def _near(self, codes: np.ndarray, base: int, distance: int) -> tuple[np.ndarray, np.ndarray]:
+        top = len(self.levels[-1][0])
+        who, node = np.repeat(np.arange(len(codes)), top), np.tile(np.arange(top), len(codes))
         for depth in range(len(self.levels) - 1, -1, -1):
             ones, zeros = self.levels[depth]
-            apart = np.bitwise_count((ones[nodes] & ~code) | (zeros[nodes] & code))
-            nodes = nodes[apart <= distance]
-            if not len(nodes):
-                return nodes
-            size, end = (FAN, len(self.levels[depth - 1][0])) if depth else (LEAF, len(self.codes))
-            nodes = (nodes[:, None] * size + np.arange(size)).ravel()
-            nodes = nodes[nodes < end]
-        return nodes[np.bitwise_count(self.codes[nodes] ^ code) <= distance]
-
-    def forest(self, distance: int = DISTANCE) -> list[tuple[int, int]]:
-        """Links (member, first member) that span the components, as places in the array given."""
-        out, seen = [], np.zeros(len(self.codes), dtype=bool)
-        for root in range(len(self.codes)):
-            if seen[root]:
-                continue
-            seen[root] = True
-            stack = [root]
-            while stack:
-                found = self.near(self.codes[stack.pop()], distance)
-                found = found[~seen[found]]
-                seen[found] = True
-                out += [(int(self.order[x]), int(self.order[root])) for x in found]
-                stack += found.tolist()
-        return out
-
-
-def _bucket_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows (bucket, fp, root) sorted by bucket; yields links between roots."""
-
-    def links(bucket: np.ndarray, fp: np.ndarray, root: np.ndarray) -> pa.RecordBatch:
-        ends = np.flatnonzero(np.append(bucket[1:] != bucket[:-1], True)) + 1
-        starts = np.append(0, ends[:-1])
-        size = np.repeat(ends - starts, ends - starts)
-        busy = np.zeros(len(fp), dtype=bool)
-        for step in range(1, min(LEAF, int(size.max(initial=1)))):  # a bucket of one leaf is compared directly
-            at = np.flatnonzero((bucket[step:] == bucket[:-step]) & (size[step:] <= LEAF))
-            busy[at] |= np.bitwise_count(fp[at] ^ fp[at + step]) <= DISTANCE
-        u, v = [], []
-        for a, b in zip(starts, ends, strict=True):
-            if b - a > LEAF or busy[a:b].any():
-                for x, y in GrayIndex(fp[a:b]).forest():
-                    u.append(root[a + x])
-                    v.append(root[a + y])
-        return pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
-
-    rest: list[np.ndarray] = [np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64)]
-    for batch in batches:
-        new = [batch.column(0).to_numpy(), batch.column(1).to_numpy().view(np.uint64), batch.column(2).to_numpy()]
-        rest = [np.concatenate(x) for x in zip(rest, new, strict=True)]
-        if not len(rest[0]):
-            continue
-        cut = int(np.searchsorted(rest[0], rest[0][-1]))
-        yield links(*[x[:cut] for x in rest])
-        rest = [x[cut:] for x in rest]
-    if len(rest[0]):
-        yield links(*rest)
-
+            own = codes[who]
+            close = np.bitwise_count((ones[node] & ~own) | (zeros[node] & own)) <= distance
+            if depth:
+                self.pruned += int(self.sizes[depth][node[~close]].sum())
+            else:
+                self.compared += len(node)
+            who, node = who[close], node[close]
+            if depth:
+                who = np.repeat(who, FAN)
+                node = (node[:, None] * FAN + np.arange(FAN)).ravel()
+                real = node < len(self.levels[depth - 1][0])
+                who, node = who[real], node[real]
+        return who + base, node
+
+
+def least_labels(u: np.ndarray, v: np.ndarray, n: int) -> np.ndarray:
+    """For each of ``n`` places the least place of its component under the links (u, v)."""
+    parent = np.arange(n)
+    while len(u):
+        a, b = parent[u], parent[v]
+        apart = a != b
+        u, v, a, b = u[apart], v[apart], a[apart], b[apart]
+        np.minimum.at(parent, np.maximum(a, b), np.minimum(a, b))
+        while (parent[parent] != parent).any():
+            parent = parent[parent]
+    return parent
+
+
+def _range_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (part, visitor, fp, root) in the order of (part, visitor, fp); yields links between roots.
+
+    The members of a range come first and become its tree; then queries from other ranges come by.
+    """
+
+    def spanning(u: np.ndarray, v: np.ndarray, roots: np.ndarray) -> pa.RecordBatch:
+        label = least_labels(u, v, len(roots))
+        linked = np.flatnonzero(label != np.arange(len(roots)))
+        return pa.RecordBatch.from_arrays([pa.array(roots[linked]), pa.array(roots[label[linked]])], ["u", "v"])
+
+    now, members, roots, index = None, [], [], None
+
+    def plant() -> tuple[GrayIndex, np.ndarray, pa.RecordBatch]:
+        codes, own = np.concatenate(members), np.concatenate(roots)
+        order = np.argsort(gray_rank(codes), kind="stable")
+        codes, own = codes[order], own[order]
+        tree = GrayIndex.of(codes)
+        who, met = tree.near(codes)
+        return tree, own, spanning(who, met, own)
 
-def _blocks(free: int, parts: int) -> list[int]:
-    """Masks of ``parts`` near-equal blocks of the set bits of ``free``."""
-    bits = [b for b in range(64) if free >> b & 1]
-    return [sum(1 << b for b in bits[len(bits) * k // parts : len(bits) * (k + 1) // parts]) for k in range(parts)]
+    for batch in batches:
+        part, visitor, fp, root = (batch.column(k).to_numpy(zero_copy_only=False) for k in range(4))
+        fp = fp.view(np.uint64)
+        bounds = np.flatnonzero(np.append(True, (part[1:] != part[:-1]) | (visitor[1:] != visitor[:-1]))) if len(part) else []
+        for a, b in zip(bounds, [*bounds[1:], len(part)], strict=True):
+            if part[a] != now:
+                if members and index is None:
+                    yield plant()[2]
+                now, members, roots, index = part[a], [], [], None
+            if not visitor[a]:
+                members.append(fp[a:b])
+                roots.append(root[a:b])
+                continue
+            if index is None:
+                if not members:
+                    continue  # a range without members has no visitors
+                index, own, links = plant()
+                yield links
+            who, met = index.near(fp[a:b])
+            seen, at = np.unique(who, return_inverse=True)
+            if len(seen):
+                met_own, place = np.unique(met, return_inverse=True)
+                yield spanning(place, at + len(met_own), np.append(own[met_own], root[a:b][seen]))
+    if members and index is None:
+        yield plant()[2]
+
+
+def gray_rank_column(fp: Column) -> Column:
+    """Gray rank as a signed number whose order is that of the unsigned rank."""
+    for shift in (1, 2, 4, 8, 16, 32):
+        fp = fp.bitwiseXOR(F.shiftrightunsigned(fp, shift))
+    return fp.bitwiseXOR(F.lit(-(1 << 63)))
 
 
-def _signed(x: int) -> int:
-    return x - (1 << 64) if x >> 63 else x
+def range_bounds(codes: DataFrame, ranges: int) -> np.ndarray:
+    """Upper bounds of all ranges but the last, as signed ranks: approximate quantiles, which only set how even ranges are."""
+    if ranges < 2:
+        return np.zeros(0, dtype=np.int64)
+    ranks = codes.select(gray_rank_column(F.col("fp")).cast("double").alias("rank"))
+    cuts = ranks.approxQuantile("rank", [k / ranges for k in range(1, ranges)], 0.25 / ranges)
+    return np.unique(np.clip(np.array(cuts), -(2.0**63), 2.0**63 - 1025).astype(np.int64))
 
 
-def similar_links(codes: DataFrame, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
+def similar_links(codes: DataFrame, range_rows: int = RANGE_ROWS) -> DataFrame:
     """Links (u, v) between ids ``root`` of distinct fingerprints ``codes(fp, root)`` that span all pairs within three bits."""
-    parts = DISTANCE + 1
-    out = None
-    # a bucket: the masks that must agree so far, as a path, and the agreeing bits
-    level = [(mask, (1 << 64) - 1 & ~mask) for mask in _blocks((1 << 64) - 1, parts)]
-    keys = F.explode(F.array(*[F.struct(F.lit(k).alias("path"), (F.col("fp").bitwiseAND(F.lit(_signed(m)))).alias("agree")) for k, (m, _) in enumerate(level)]))
-    rows = codes.select("fp", "root", keys.alias("k")).select("fp", "root", "k.*")
-    for depth in range(SPLITS + 1):
-        sizes = rows.groupBy("path", "agree").count().where(F.col("count") > bucket_rows).select("path", "agree")
-        large = materialise(sizes, "large-buckets")
-        any_large = depth < SPLITS and not large.isEmpty()
-        here = rows.join(large, ["path", "agree"], "left_anti") if any_large else rows
-        dealt = here.select(F.xxhash64("path", "agree").alias("bucket"), "fp", "root").repartition("bucket").sortWithinPartitions("bucket", "fp")
-        links = dealt.mapInArrow(_bucket_links, "u bigint, v bigint")
-        out = links if out is None else out.union(links)
-        if not any_large:
-            return out
-        deeper, cases = [], []
-        for path, (mask, free) in enumerate(level):
-            for block in _blocks(free, parts):
-                cases.append((path, len(deeper), mask | block))
-                deeper.append((mask | block, free & ~block))
-        choice = None
-        for path in range(len(level)):
-            own = F.array(*[F.struct(F.lit(k).alias("path"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("agree")) for p, k, m in cases if p == path])
-            choice = F.when(F.col("path") == path, own) if choice is None else choice.when(F.col("path") == path, own)
-        rows = rows.join(large, ["path", "agree"], "left_semi").select("fp", "root", F.explode(choice).alias("k")).select("fp", "root", "k.*")
-        level = deeper
-    raise AssertionError("the last depth returns")
+    spark = codes.sparkSession
+    rows = codes.count()
+    bounds = range_bounds(codes, min(MAX_RANGES, -(-rows // range_rows)))
+
+    def parts_of(fp: np.ndarray) -> np.ndarray:
+        rank = (gray_rank(fp.view(np.uint64)) ^ np.uint64(1 << 63)).view(np.int64)
+        return np.searchsorted(bounds, rank, side="left")
+
+    def shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            fp = batch.column(0).to_numpy(zero_copy_only=False)
+            part = parts_of(fp)
+            order = np.argsort(part, kind="stable")
+            part, fp = part[order], fp[order]
+            at = np.flatnonzero(np.append(True, part[1:] != part[:-1])) if len(part) else np.zeros(0, np.int64)
+            if len(at):
+                size = np.diff(np.append(at, len(part)))
+                yield pa.RecordBatch.from_arrays([pa.array(part[at]), pa.array(np.bitwise_and.reduceat(fp, at)), pa.array(np.bitwise_and.reduceat(~fp, at)), pa.array(size)], ["part", "ones", "zeros", "size"])
+
+    masks = codes.select("fp").mapInArrow(shared, "part bigint, ones bigint, zeros bigint, size bigint")
+    masks = masks.groupBy("part").agg(F.bit_and("ones").alias("ones"), F.bit_and("zeros").alias("zeros"), F.sum("size").alias("size")).orderBy("part").collect()
+    numbers = np.array([m["part"] for m in masks], dtype=np.int64)
+    of = lambda name: np.array([m[name] for m in masks], dtype=np.int64)
+    top = spark.sparkContext.broadcast((numbers, of("ones").view(np.uint64), of("zeros").view(np.uint64), of("size")))  # at most MAX_RANGES entries
+
+    def travel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        numbers, ones, zeros, size = top.value
+        tree = GrayIndex(ones, zeros, size)
+        for batch in batches:
+            for cut in range(0, batch.num_rows, TOGETHER):
+                fp, root = (batch.column(k).slice(cut, TOGETHER).to_numpy(zero_copy_only=False) for k in range(2))
+                home = parts_of(fp)
+                who, to = tree.near(fp.view(np.uint64))
+                to = numbers[to]
+                here = home[who]
+                go = (to != here) & (((to + here) % 2 == 0) == (to > here))
+                who, to = who[go], to[go]
+                part, visitor = np.append(home, to), np.repeat([False, True], [len(home), len(to)])
+                yield pa.RecordBatch.from_arrays([pa.array(part), pa.array(visitor), pa.array(np.append(fp, fp[who])), pa.array(np.append(root, root[who]))], ["part", "visitor", "fp", "root"])
+
+    rows_of = codes.select("fp", "root").mapInArrow(travel, "part bigint, visitor boolean, fp bigint, root bigint")
+    return rows_of.repartition("part").sortWithinPartitions("part", "visitor", "fp").mapInArrow(_range_links, "u bigint, v bigint")
 
 
 def simhash_components(docs: DataFrame, width: int = 3, text: str = "text", key: str = "doc_id") -> DataFrame:

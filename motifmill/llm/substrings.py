@@ -23,8 +23,8 @@ exchange, and of units with one representative at most two are sent to meet thos
 other tasks, while the rest is compared by window anyway. A passage that a third of
 all documents share so sends a few rows from each task, whatever its frequency.
 
-A unit that repeats inside a slice is remembered for the slices after it (``HOT`` of
-them at most), so a task sends a frequent unit once and not once a slice.
+Units and representatives that are frequent in a slice are remembered for the slices after
+it (about ``HOT`` of each), so a task sends a frequent passage once and not once a slice.
 
 A document is known by its id and a turn: zero while no id comes with two texts, else a
 hash of the text. A row without an id takes two hashes of its text in their place. So no
@@ -231,7 +231,7 @@ class HotUnits:
 
 def _unit_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(doc, turn, lost, text) to rows of units."""
-    hot = HotUnits()
+    hot, routes = HotUnits(), np.zeros(0, np.uint64)
     for batch in byte_slices(batches, 3, CHUNK_BYTES):
         chunk = Chunk(batch.column(3))
         u = units(chunk)
@@ -249,6 +249,10 @@ def _unit_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key = u["key"][firsts]
         third = np.zeros(len(key), dtype=bool)
         third[2:] = key[2:] == key[:-2]
+        # a representative of which this task has sent two units is known to have several
+        third |= np.isin(key, routes)
+        if len(routes) < HOT:
+            routes = np.union1d(routes, key[third])
         sent, rest = firsts[~third], firsts[third]
         kind = np.concatenate([np.full(len(x), k) for x, k in ((sent, MEETS), (rest, BY_WINDOW), (repeats, REPEAT))])
         of = np.concatenate([sent, rest, repeats])

@@ -87,6 +87,27 @@ def test_bad_host_is_rejected(spark, tmp_path):
     assert all(0 < r.host_rate < 1 for r in out)
 
 
+def planted_hosts():
+    """Twenty hosts whose documents fail once in ten, and one where almost half fail."""
+    good = lambda k: " ".join(f"word{k}and{j}" for j in range(12))
+    docs = [(h * 1000 + k, "x" if k % 10 == 0 else good(h * 1000 + k), f"host{h}") for h in range(20) for k in range(200)]
+    return docs + [(90_000 + k, "x" if k % 20 < 9 else good(90_000 + k), "bad") for k in range(200)]
+
+
+def test_host_verdict_decides_in_query_and_pipeline(spark, tmp_path):
+    spark.createDataFrame(planted_hosts(), "doc_id long, text string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    found = rows(spark, "op3_quality_rules", str(tmp_path))
+    assert {r["doc_id"] for r in found if r["host_failed"]} == set(range(90_000, 90_200))
+    kept = {r["doc_id"] for r in found if r["kept"]}
+    assert kept == {i for i, t, h in planted_hosts() if t != "x" and h != "bad"}
+    docs = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    left = corpus_pipeline.quality_stage(spark, docs, "")
+    assert left.columns == docs.columns and {r.doc_id for r in left.collect()} == kept
+    con = duckdb.connect()
+    con.execute(f"create view documents as select * from '{tmp_path}/documents.parquet/*.parquet'")
+    assert {r[0] for r in con.execute(f"select doc_id from ({registry.oracle_sql()['op3_quality_rules']}) where kept").fetchall()} == kept
+
+
 def test_bpe(spark, odd):
     folder, documents = odd
     tok = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
@@ -117,6 +138,25 @@ def test_codec_and_tree(name):
     assert np.frombuffer(own.encode_batch([long.encode()])[0], "<u4").tolist() == tok.encode(long, add_special_tokens=False).ids
 
 
+@pytest.mark.parametrize("name", ["word_bpe_49k.json", "byte_bpe_50k.json"])
+def test_halves_of_texts(name, monkeypatch):
+    """Texts halved wherever halves fall, special tokens and white space included, against the library."""
+    import random
+
+    import pyarrow as pa
+
+    from motifmill.llm import bpe
+
+    monkeypatch.setattr(bpe, "PART", 8)
+    own, tok, rng = bpe.Codec(public_tokenizers.path(name)), Tokenizer.from_file(public_tokenizers.path(name)), random.Random(6)
+    bits = ["the", "quick ", "  ", "a", " ", "c", "é", "\n", " 'st", " don't", "<|endoftext|>", "\u0301", "Σ", "ß", "漢", "1", ".", "\t", "\x1c", "\x85", " word", " go,"]
+    texts = ["".join(rng.choices(bits, k=rng.randint(0, 70))) for _ in range(600)]
+    found = own.encode_texts(pa.array([None, *texts])).to_pylist()
+    assert found[0] == [] and own.joins > 3000
+    for text, ids in zip(texts, found[1:], strict=True):
+        assert ids == tok.encode(text, add_special_tokens=False).ids
+
+
 def test_bpe_round_trip(spark):
     from motifmill.llm.bpe import decode_documents, encode_documents
 
@@ -161,27 +201,77 @@ def test_pii(spark, odd):
     assert "WEST" not in redact(text, text_spans(text)) and "abcdef" not in redact(text, text_spans(text))
 
 
+def leaked(text, item, stride):
+    """Whether a passage of two strides has 80 % of the shingles of an item, or of its question and its answer; written apart from the operator."""
+
+    def bare(word):
+        return re.sub(r"^[\W_]+|[\W_]+$", "", word.lower())
+
+    def grams(words):
+        words = [w for w in map(bare, words) if w]
+        return [" ".join(words[k : k + 5]) for k in range(max(1, len(words) - 4))] if words else []
+
+    words, doc = item.split(), (text or "").split()
+    ends = [k + 1 for k, w in enumerate(words[:-1]) if re.search(r"[.?!][\"')]*$", w)]
+    cut = ends[-1] if ends else 0
+    question, answer = grams(words[:cut]), grams(words[cut:])
+    question, answer = question or answer, answer or question
+    if not grams(words):
+        return False
+    for at in range(0, max(1, len(doc) - stride), stride):
+        own = [w for w in map(bare, doc[at : at + 2 * stride]) if w]
+        has = lambda g: any(own[j : j + len(g.split(" "))] == g.split(" ") for j in range(len(own)))
+        share = lambda gs: sum(map(has, gs)) / len(gs)
+        if share(grams(words)) >= 0.8 or min(share(question), share(answer)) >= 0.8:
+            return True
+    return False
+
+
 def test_decontamination(spark, odd, monkeypatch):
     from motifmill.llm import decontaminate as D
 
     folder, documents = odd
-    items = [D.Item(r.item_id, r.text) for r in spark.read.parquet(f"{folder}/benchmark.parquet").collect() if r.text and r.text.split()]
-    stride = max(D.MIN_STRIDE, max(len(x.words) for x in items))
-    want = set()
-    for d in documents:
-        raw = (d[1] or "").split()
-        for at in range(0, max(1, len(raw) - stride), stride):
-            own = [w for w in map(D.normal, raw[at : at + 2 * stride]) if w]
-            for x in items:
-                found = {tuple(own[j : j + w]) for w in x.widths() for j in range(len(own) - w + 1)}
-                q, a, whole = x.overlaps(found)
-                if whole >= D.OVERLAP or min(q, a) >= D.OVERLAP:
-                    want.add((d[0], x.item_id))
+    items = [(r.item_id, r.text) for r in spark.read.parquet(f"{folder}/benchmark.parquet").collect() if r.text]
+    stride = max(64, max(len(t.split()) for _, t in items))
+    want = {(d[0], i) for d in documents for i, t in items if leaked(d[1], t, stride)}
     assert want and {(r["doc_id"], r["item_id"]) for r in rows(spark, "op6_decontaminate", folder)} == want
     monkeypatch.setattr(D, "PART_BYTES", 150)  # several indexes give the same
+    monkeypatch.setattr(D, "CELLS", 4)
     assert {(r["doc_id"], r["item_id"]) for r in rows(spark, "op6_decontaminate", folder)} == want
 
 
+def test_pivots_find_what_scoring_all_items_finds():
+    import random
+
+    from motifmill.llm.decontaminate import BlockMaxIndex
+
+    rng = random.Random(5)
+    words = [f"w{k}" for k in range(80)]
+    index = BlockMaxIndex([(k, " ".join(rng.choices(words, weights=range(1, 81), k=rng.randint(3, 25)))) for k in range(150)])
+    full = 0
+    for _ in range(200):
+        terms = sorted({index.terms[w] for w in rng.choices(words, k=rng.randint(1, 60)) if w in index.terms})
+        score = np.zeros(len(index.items))
+        for t in terms:
+            score[index.item[index.first[t] : index.first[t + 1]]] += index.weight[index.first[t] : index.first[t + 1]]
+        want = {k for k in range(len(score)) if score[k] >= 1 + 1e-9}
+        found = index.search(np.zeros(len(terms), np.int64), np.array(terms), 1)
+        assert want <= {i for _, i, _ in found} and all(abs(score[i] - x) < 1e-9 for _, i, x in found)
+        full += len(want)
+    assert full > 100
+
+
+def test_items_with_unicode_white_space(spark):
+    from motifmill.llm.decontaminate import drop_leaking, find_leaks
+
+    for space in (" ", "\u3000", "\u00a0"):
+        item = space.join(f"w{k}" for k in range(200))
+        docs = spark.createDataFrame([(1, item, "x"), (2, "clean text", "y"), (3, None, "z")], "doc_id long, text string, key string")
+        items = spark.createDataFrame([(7, item), (None, item), (None, None)], "item_id long, text string")
+        assert {(r.key, r.item_id) for r in find_leaks(docs, items).collect()} == {(1, 7), (1, None)}
+        assert {r.doc_id for r in drop_leaking(docs, items).collect()} == {2, 3}
+
+
 def test_substrings(spark, odd):
     from motifmill.llm.substrings import remove_repeats
 
@@ -200,8 +290,38 @@ def test_substrings(spark, odd):
     assert found == Counter((d[0], *want[-1 if d[0] is None else d[0], d[1] or ""]) for d in documents)
 
 
+def test_substrings_of_short_tables(spark):
+    from motifmill.llm.substrings import remove_repeats
+
+    long = lambda a, n=30: " ".join(f"{a}{k}" for k in range(n))
+    for docs, parts in [([(1, "x y")], 1), ([(1, None)], 1), ([(1, "a b c"), (2, "d e")], 1), ([(1, "a b c"), (2, "d e")], 2), ([(None, None)], 1)]:
+        out = remove_repeats(spark.createDataFrame(docs, "doc_id long, text string").repartition(parts)).collect()
+        assert sorted((r.key or 0, r.n_removed, r.kept) for r in out) == sorted((i or 0, 0, t or "") for i, t in docs)
+    docs = [(-(2**63), long("a")), (None, long("a")), (None, long("a")), (None, long("c")), (5, long("a")), (5, long("b")), (7, long("b")), (7, long("b"))]
+    for parts in (1, 8):
+        out = remove_repeats(spark.createDataFrame(docs, "doc_id long, text string").repartition(parts)).collect()
+        assert Counter((r.key, r.n_removed) for r in out) == Counter([(-(2**63), 30), (None, 0), (None, 0), (None, 0), (5, 30), (5, 0), (7, 30), (7, 30)])
+
+
+def test_hot_units_of_a_task(monkeypatch):
+    """A passage in every text, cut into many slices: a task sends its units once."""
+    import pyarrow as pa
+
+    from motifmill.llm import substrings as S
+
+    monkeypatch.setattr(S, "CHUNK_BYTES", 20_000)
+    passage = " ".join(f"p{k}" for k in range(60))
+    texts = [f"{' '.join(f't{i}x{k}' for k in range(20))} {passage} {' '.join(f's{i}x{k}' for k in range(20))} {passage}" for i in range(300)]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(300), pa.int64()), pa.array([0] * 300, pa.int64()), pa.array([False] * 300), pa.array(texts)], ["doc", "turn", "lost", "text"])
+    sent = Counter()
+    for out in S._unit_rows(iter([batch])):
+        for route, pack in zip(out.column(0).to_pylist(), out.column(6).to_pylist(), strict=True):
+            sent[route] += pack >> 6 == S.MEETS
+    assert max(sent.values()) <= 4
+
+
 def test_simhash(spark, odd):
-    from motifmill.llm.simhash import GrayIndex, fingerprints, similar_links
+    from motifmill.llm.simhash import GrayIndex, fingerprints, gray_rank, similar_links
     from motifmill.llm.components import star_components
     from pyspark.sql import functions as F
 
@@ -227,15 +347,40 @@ def test_simhash(spark, odd):
     rng = np.random.default_rng(0)
     seeds = rng.integers(0, 1 << 63, 30, dtype=np.uint64)
     near = np.unique(np.concatenate([seeds ^ np.uint64(1 << int(rng.integers(64))) ^ np.uint64(1 << int(rng.integers(64))) for _ in range(40)]))
-    index = GrayIndex(near)
-    for c in near[:50]:
-        assert set(index.codes[index.near(c)].tolist()) == {int(x) for x in near if (int(x) ^ int(c)).bit_count() <= 3}
+    near = near[np.argsort(gray_rank(near))]
+    who, met = GrayIndex.of(near).near(near)
+    assert {(int(near[a]), int(near[b])) for a, b in zip(who, met, strict=True)} == {(int(x), int(y)) for x in near for y in near if (int(x) ^ int(y)).bit_count() <= 3}
     frame = spark.createDataFrame([(int(c.view(np.int64)), k) for k, c in enumerate(near)], "fp long, root long")
     whole = sorted(map(tuple, star_components(similar_links(frame)).collect()))
     assert whole and sorted(map(tuple, star_components(similar_links(frame, 60)).collect())) == whole
     assert fingerprints(frame.select(F.col("fp").alias("doc_id"), F.lit(None).cast("string").alias("text"))).where("fp <> 0").isEmpty()
 
 
+def test_gray_index_rules_out_groups_of_the_given_table(spark):
+    """All fingerprints of a given table: nearly all comparisons end at an upper node, and no link is lost."""
+    from motifmill.llm.components import star_components
+    from motifmill.llm.simhash import GrayIndex, fingerprints, gray_rank, similar_links
+    from pyspark.sql import functions as F
+
+    codes = fingerprints(spark.read.parquet("/root/testdata/sf0.01/documents.parquet")).groupBy("fp").agg(F.min("key").alias("root")).cache()
+    rows = sorted((int(r.fp) & (1 << 64) - 1, r.root) for r in codes.collect())
+    near = np.array([f for f, _ in rows], dtype=np.uint64)
+    near = near[np.argsort(gray_rank(near))]
+    index = GrayIndex.of(near)
+    index.near(near)
+    assert index.pruned > 0.9 * len(near) ** 2 and index.compared < 0.1 * len(near) ** 2
+    label = {r: r for _, r in rows}
+    changed = True
+    while changed:
+        changed = False
+        for f, r in rows:
+            for g, q in rows:
+                if (f ^ g).bit_count() <= 3 and label[q] < label[r]:
+                    label[r], changed = label[q], True
+    found = {r.node: r.component for r in star_components(similar_links(codes, 100)).collect()}
+    assert found and all(found.get(r, r) == label[r] for _, r in rows)
+
+
 def test_sharding(spark, odd):
     from motifmill.llm.sharding import ring_shards
     from pyspark.sql import functions as F
