@@ -16,9 +16,15 @@ lines. No task holds more than a block, however long one conversation is.
 Rendering opens each turn with its role's tag on a line of its own and drops the
 marker; the rows of a transcript, one after the other, are its canonical form.
 
-Nulls: a null text is one blank line; null ids are one transcript; a null position
-comes first. Rows that repeat id and position are ordered by a hash of the text. An
-empty table gives an empty result. Further columns are dropped.
+The query decodes each transcript with a model that was fitted on others: transcripts
+fall into two folds by a hash of the id, and each fold is decoded by the other's model.
+
+Nulls: a null text is one blank line; a row without an id is a transcript of its own; rows
+without a position come first, in the order of a hash of the text, which spreads them over
+blocks. Rows equal in id, position and text are one row of the transcript, and each gets
+its result; texts that share id and position are ordered by a hash of the text and meet in
+one block. Positions are above -2^61. A very long text is decoded by the task that holds
+its block. An empty table gives an empty result. Further columns are dropped.
 """
 
 from __future__ import annotations
@@ -160,8 +166,16 @@ def decode_rows(rows: DataFrame, model: Model, fan: int = FAN) -> DataFrame:
     """(id, pos, tie, text, states array<int>): the state of each line of each row."""
     spark = rows.sparkSession
     of = spark.sparkContext.broadcast(model)
-    seen = observed(rows.select(F.col("id").cast("bigint").alias("id"), F.coalesce(F.col("pos").cast("bigint"), F.lit(-1)).alias("pos"), "text"))
-    seen = seen.withColumn("tie", F.xxhash64("text")).withColumn("block", F.floor(F.col("pos") / fan))
+    tie = F.xxhash64("text")
+    own = rows.select(F.col("id").cast("bigint").alias("id"), F.col("pos").cast("bigint").alias("pos"), "text").groupBy("id", "pos", "text").agg(F.count("*").alias("copies"))
+    lost = F.concat_ws(":", F.lit("x"), tie, F.xxhash64(F.lit("lost"), "text", "pos"))
+    own = own.select(
+        F.when(F.col("id").isNull(), lost).otherwise(F.concat(F.lit("i"), "id")).alias("id"),
+        F.coalesce("pos", F.shiftrightunsigned(tie, 24) - F.lit(1 << 62)).alias("pos"),
+        "text", tie.alias("tie"), "copies",
+    )
+    block = F.expr(f"pos div {fan}") - F.expr(f"int(pos < 0 and pos % {fan} <> 0)")  # rounds down; no doubles, which lose digits
+    seen = observed(own).withColumn("block", block)
     flat = lambda m: m.reshape(-1).tolist()
 
     def of_lines(group: list[dict]) -> list[dict]:
@@ -188,24 +202,29 @@ def decode_rows(rows: DataFrame, model: Model, fan: int = FAN) -> DataFrame:
         matrices = [of.value.line(o) for r in group for o in r["obs"]]
         states, out = best_states(matrices, group[0]["s"], group[0]["e"]), []
         for r in group:
-            out.append({k: r[k] for k in ("id", "pos", "tie", "text")} | {"states": states[: len(r["obs"])]})
+            out.append({k: r[k] for k in ("id", "pos", "tie", "text", "copies")} | {"states": states[: len(r["obs"])]})
             states = states[len(r["obs"]) :]
         return out
 
-    matrix, between = "id bigint, pos bigint, m array<bigint>", "id bigint, pos bigint, s int, e int"
+    matrix, between = "id string, pos bigint, m array<bigint>", "id string, pos bigint, s int, e int"
     levels = [materialise(_grouped(seen.select("id", "pos", "tie", "block", "obs"), ["id", "block"], ["pos", "tie"], of_lines, matrix), "chat-blocks")]
     while (levels[-1].groupBy("id").count().agg(F.max("count")).first()[0] or 0) > fan:
-        up = levels[-1].withColumn("block", F.floor(F.col("pos") / fan))
+        up = levels[-1].withColumn("block", block)
         levels.append(materialise(_grouped(up, ["id", "block"], ["pos"], of_blocks, matrix), "chat-blocks"))
     fixed = _grouped(levels[-1], ["id"], ["pos"], ends, between)
     same = lambda a, b: F.col(a).eqNullSafe(F.col(b))
     for level in levels[-2::-1]:
         above = fixed.select(F.col("id").alias("i"), F.col("pos").alias("p"), "s", "e")
-        down = level.withColumn("block", F.floor(F.col("pos") / fan)).join(above, same("id", "i") & (F.col("block") == F.col("p")))
+        down = level.withColumn("block", block).join(above, same("id", "i") & (F.col("block") == F.col("p")))
         fixed = _grouped(down.drop("i", "p"), ["id", "block"], ["pos"], ends, between)
     above = fixed.select(F.col("id").alias("i"), F.col("pos").alias("p"), "s", "e")
     down = seen.join(above, same("id", "i") & (F.col("block") == F.col("p"))).drop("i", "p")
-    return _grouped(down, ["id", "block"], ["pos", "tie"], lines, "id bigint, pos bigint, tie bigint, text string, states array<int>")
+    out = _grouped(down, ["id", "block"], ["pos", "tie"], lines, "id string, pos bigint, tie bigint, text string, copies bigint, states array<int>")
+    out = out.withColumn("copies", F.explode(F.sequence(F.lit(1).cast("bigint"), "copies")))
+    return out.select(
+        F.when(F.col("id").startswith("i"), F.expr("substring(id, 2)").cast("bigint")).alias("id"),
+        F.when(F.col("pos") > -(1 << 61), F.col("pos")).alias("pos"), "tie", "text", "states",
+    )
 
 
 def rendered(text: Column, states: Column) -> Column:
@@ -240,9 +259,10 @@ def as_transcript(turns: DataFrame, drop_every: int = 4) -> DataFrame:
 
 
 def op2_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Recovered role and canonical text of every row of the transcripts of ``conversations``."""
+    """Recovered role and canonical text of every row of the transcripts of ``conversations``, by models that have not seen them."""
     transcripts = as_transcript(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
-    model = fit(transcripts)
-    return format_transcripts(transcripts.select("id", "pos", "text"), model).select(
-        F.col("id").alias("conv_id"), F.col("pos").alias("turn"), "role", "n_turns", "rendered"
-    )
+    fold, out = F.pmod(F.xxhash64("id"), F.lit(2)), None
+    for k in (0, 1):
+        held = format_transcripts(transcripts.where(fold == k).select("id", "pos", "text"), fit(transcripts.where(fold != k)))
+        out = held if out is None else out.unionByName(held)
+    return out.select(F.col("id").alias("conv_id"), F.col("pos").alias("turn"), "role", "n_turns", "rendered")

@@ -11,8 +11,13 @@ With slack 0 the capacities are the row counts of a perfectly even split, so
 shards differ by at most one row; with a positive slack fewer documents leave
 their own arc and no shard exceeds ``ceil((1 + slack) * rows / shards)``.
 
-Nulls: a null id hashes like any other value; a null text has no bytes. Repeated
-rows are separate rows; ties in the ring order are broken by id, size and checksum.
+An arc of more than ``HOT_ARC`` documents, which only a key makes that very many rows
+share, is ranked in parts: its rows are dealt by their number, each part is ranked by
+itself and begins where the part before ends.
+
+Nulls: a document without an id takes size and checksum for its key; a null text has no
+bytes. Repeated rows are separate rows; ties in the ring order are broken by id, size and
+checksum, and rows equal in all of them are alike. A very long text counts by its bytes.
 An empty table gives an empty result. Columns of the input that are named like an
 output are replaced by it.
 """
@@ -26,8 +31,12 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from motifmill.functions.scratch import materialise
+
 VNODES = 128
 CELL_BITS = 14
+#: Documents of one arc that are ranked in one go.
+HOT_ARC = 1 << 20
 
 
 @dataclass(frozen=True)
@@ -138,16 +147,30 @@ def ring_shards(
     plan = spark.range(0, 1, 1, 1).select(
         F.inline(F.from_json(F.lit(json.dumps(table)), "array<struct<arc:int,home:int,parts:array<struct<first:bigint,rows:bigint,shard:int,slot:bigint>>>>"))
     )
-    ranked = with_arc(docs, ring, position, n_points).withColumn(
-        "__rank", F.row_number().over(Window.partitionBy("__arc").orderBy("__at", *order)).cast("long") - 1
-    )
-    placed = ranked.join(F.broadcast(plan.withColumnRenamed("arc", "__arc")), "__arc")
-    part = F.element_at(F.filter("parts", lambda p: (F.col("__rank") >= p["first"]) & (F.col("__rank") < p["first"] + p["rows"])), 1)
+    hot = {arc: -(-rows // HOT_ARC) for arc, rows in counts.items() if rows > HOT_ARC}
+    on_arcs = with_arc(docs, ring, position, n_points)
+    if hot:
+        numbered = materialise(on_arcs.withColumn("__row", F.monotonically_increasing_id()), "ring-rows")  # written, so a row keeps its number
+        look = lambda table, key, kind: F.try_element_at(F.from_json(F.lit(json.dumps(table)), f"map<string,{kind}>"), key)
+        parts = look(hot, F.col("__arc").cast("string"), "int")
+        on_arcs = numbered.withColumn("__part", F.coalesce(F.pmod(F.xxhash64("__row"), parts), F.lit(0)).cast("int")).drop("__row")
+        of_parts = on_arcs.where(F.col("__arc").isin(list(hot))).groupBy("__arc", "__part").count().collect()
+        starts, before = {}, dict.fromkeys(hot, 0)
+        for arc, part, rows in sorted(map(tuple, of_parts)):
+            starts[f"{arc}:{part}"] = before[arc]
+            before[arc] += rows
+        offset = look(starts, F.concat_ws(":", "__arc", "__part"), "bigint")
+    else:
+        on_arcs, offset = on_arcs.withColumn("__part", F.lit(0)), F.lit(None)
+    rank = F.row_number().over(Window.partitionBy("__arc", "__part").orderBy("__at", *order)).cast("long") - 1
+    ranked = on_arcs.withColumn("__rank", rank + F.coalesce(offset, F.lit(0))).drop("__part")
+    placed = ranked.join(F.broadcast(plan.toDF("__arc", "__home", "__parts")), "__arc")
+    part = F.element_at(F.filter("__parts", lambda p: (F.col("__rank") >= p["first"]) & (F.col("__rank") < p["first"] + p["rows"])), 1)
     return placed.withColumn("__part", part).select(
-        *[docs[c] for c in docs.columns if c not in ("shard", "slot", "home")],
+        *[F.col(c) for c in docs.columns if c not in ("shard", "slot", "home")],
         F.col("__part.shard").alias("shard"),
         (F.col("__part.slot") + F.col("__rank") - F.col("__part.first")).alias("slot"),
-        F.col("home"),
+        F.col("__home").alias("home"),
     )
 
 
@@ -157,7 +180,8 @@ def op9_ring_sharding(spark: SparkSession, sf_dir: str, n_shards: int = 40) -> D
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select(
         "doc_id", (F.octet_length(text).cast("long") + 16).alias("size"), F.crc32(text).alias("text_crc32")
     )
-    placed = ring_shards(docs, n_shards, F.col("doc_id"), ["doc_id", "size", "text_crc32"])
+    key = F.coalesce(F.when(F.col("doc_id").isNotNull(), F.xxhash64("doc_id")), F.xxhash64(F.lit("lost"), "size", "text_crc32"))
+    placed = ring_shards(docs, n_shards, key, ["doc_id", "size", "text_crc32"])
     return placed.select(
         "doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), F.col("home").alias("home_shard")
     )

@@ -14,13 +14,16 @@ numbers are little-endian.
 
 A key is the identifier as 8 big-endian bytes with the sign bit flipped, so byte
 order is number order. A null identifier has the empty key and comes first.
-Repeated identifiers are repeated entries. A null text is the empty text: its only
-id is the end id. An empty table gives no rows.
-
-Texts are range-partitioned by identifier and encoded where they are written; each
-task writes one shard under a name of its own attempt and then moves it, so a task
-that is run again replaces its shard by the same bytes. Reading back goes through
-Spark's binary file source, point lookups through ``TokenTable``.
+Repeated identifiers are repeated entries, in the order of a hash of the text. A null
+text is the empty text: its only id is the end id. A very long text is one entry of one
+block. An empty table gives no rows; further columns are dropped.
+
+Texts are range-partitioned by identifier, and among texts with one identifier by a hash,
+into ranges of about ``SHARD_BYTES`` of text, so no hot identifier is one range. They are
+encoded where they are written. Each attempt of a task writes a shard of its own name, and
+the manifest, which Spark commits, names the shards that count: a task that is run again
+cannot spoil one. Readers go by the manifest and fetch one block at a time, whatever a
+shard's size; point lookups go through ``TokenTable``.
 """
 
 from __future__ import annotations
@@ -43,11 +46,13 @@ from pyspark.sql import functions as F
 
 from motifmill.functions.scratch import fresh_path, materialise
 from motifmill.llm.bpe import SLICE_BYTES, codec
-from motifmill.llm.words import byte_slices, slices
+from motifmill.llm.words import byte_slices
 
 MAGIC = b"TOKSST01"
 FOOTER = struct.Struct("<QIQIBBQQ8s")
 BLOCK_BYTES = 1 << 18
+#: Bytes of text for a shard.
+SHARD_BYTES = 128 << 20
 BITS_PER_KEY, HASHES = 10, 7
 MANIFEST = "shard int, name string, docs bigint, ids bigint, first_id bigint, last_id bigint"
 
@@ -217,15 +222,14 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int | Non
         part = TaskContext.get().partitionId()
         writer = stream = first = None
         files, root = pyarrow.fs.FileSystem.from_uri(folder)
-        name = f"shard-{part:06d}.sst"
-        attempt = f"{root}/.{name}-{uuid.uuid4().hex}"
+        name = f"shard-{part:06d}-{uuid.uuid4().hex}.sst"
         for batch in byte_slices(batches, 1, SLICE_BYTES):
             ids = own.encode_column(batch.column(1))
             flat, ends = ids.values.to_numpy(), ids.offsets.to_pylist()
             for doc_id, a, b in zip(batch.column(0).to_pylist(), ends, ends[1:], strict=False):
                 if writer is None:
                     files.create_dir(root, recursive=True)
-                    stream, first = files.open_output_stream(attempt), doc_id
+                    stream, first = files.open_output_stream(f"{root}/{name}"), doc_id
                     writer = ShardWriter(stream, width)
                 writer.add(encode_key(doc_id), np.append(flat[a:b], tail))
             del ids, flat, ends
@@ -233,12 +237,14 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int | Non
             return
         writer.close()
         stream.close()
-        files.move(attempt, f"{root}/{name}")
         row = [[part], [name], [writer.docs], [writer.ids], [first], [decode_key(writer.last)]]
         kinds = [pa.int32(), pa.string(), *[pa.int64()] * 4]
         yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(row, kinds, strict=True)], ["shard", "name", "docs", "ids", "first_id", "last_id"])
 
-    ordered = docs.select(F.col(key).cast("bigint").alias("key"), F.col(text).alias("text")).repartitionByRange("key").sortWithinPartitions("key", F.xxhash64("text"))
+    rows = docs.select(F.col(key).cast("bigint").alias("key"), F.col(text).alias("text"))
+    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    ranges = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-size // SHARD_BYTES))
+    ordered = rows.repartitionByRange(ranges, "key", F.xxhash64("text")).sortWithinPartitions("key", F.xxhash64("text"))
     return materialise(ordered.mapInArrow(run, MANIFEST), "shards")
 
 
@@ -246,34 +252,39 @@ IDS = "shard int, key bigint, local_start bigint, ids array<int>"
 DIGESTS = "shard int, key bigint, local_start bigint, n_tokens bigint, ids_crc32 bigint"
 
 
-def read_shards(spark: SparkSession, folder: str, digests: bool = False) -> DataFrame:
-    """(shard, key, local_start, ids) of every entry, read from the files; with ``digests`` the ids' number and CRC-32 instead.
+def read_shards(manifest: DataFrame, folder: str, digests: bool = False) -> DataFrame:
+    """(shard, key, local_start, ids) of every entry, read from the files of a manifest; with ``digests`` the ids' number and CRC-32 instead.
 
     The checksum is that of the ids as little-endian 32-bit numbers.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches, 1):
-            shard = int(batch.column(0)[0].as_py().rpartition("shard-")[2].removesuffix(".sst"))
-            reader, start = ShardReader.of_bytes(batch.column(1)[0].as_buffer()), 0
-            for k in range(len(reader.blocks)):
-                keys, ids = [], []
-                for key, x in reader.block(k):
-                    keys.append(decode_key(key))
-                    ids.append(x.astype("<u4"))
-                size = np.array([len(x) for x in ids], dtype=np.int64)
-                ends = np.append(0, np.cumsum(size))
-                columns = [pa.array([shard] * len(keys), pa.int32()), pa.array(keys, pa.int64()), pa.array(ends[:-1] + start)]
-                start += int(ends[-1])
-                if digests:
-                    columns += [pa.array(size), pa.array([zlib.crc32(x) for x in ids], pa.int64())]
-                else:
-                    columns.append(pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(np.concatenate(ids).view(np.int32))))
-                yield pa.RecordBatch.from_arrays(columns, [c.split()[0] for c in schema.split(", ")])
+        files, root = pyarrow.fs.FileSystem.from_uri(folder)
+        for batch in batches:
+            for shard, name in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                with files.open_input_file(f"{root}/{name}") as f:
+                    yield from blocks(shard, ShardReader(lambda at, n, f=f: f.read_at(n, at), f.size()))
+
+    def blocks(shard: int, reader: ShardReader) -> Iterator[pa.RecordBatch]:
+        start = 0
+        for k in range(len(reader.blocks)):
+            keys, ids = [], []
+            for key, x in reader.block(k):
+                keys.append(decode_key(key))
+                ids.append(x.astype("<u4"))
+            size = np.array([len(x) for x in ids], dtype=np.int64)
+            ends = np.append(0, np.cumsum(size))
+            columns = [pa.array([shard] * len(keys), pa.int32()), pa.array(keys, pa.int64()), pa.array(ends[:-1] + start)]
+            start += int(ends[-1])
+            if digests:
+                columns += [pa.array(size), pa.array([zlib.crc32(x) for x in ids], pa.int64())]
+            else:
+                columns.append(pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(np.concatenate(ids).view(np.int32))))
+            yield pa.RecordBatch.from_arrays(columns, [c.split()[0] for c in schema.split(", ")])
 
     schema = DIGESTS if digests else IDS
-    files = spark.read.format("binaryFile").option("pathGlobFilter", "shard-*.sst").load(folder)
-    return files.select("path", "content").mapInArrow(run, schema)
+    shards = manifest.count()  # a row for each shard: dealt out one by one
+    return manifest.select("shard", "name").coalesce(1).repartition(max(1, shards)).mapInArrow(run, schema)
 
 
 def op10_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -287,7 +298,7 @@ def op10_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
         return spark.createDataFrame([], "doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint, shard int")
     before = F.sum("ids").over(Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1))
     bases = manifest.select(F.col("shard").alias("__shard"), F.coalesce(before, F.lit(0)).alias("base"))
-    rows = read_shards(spark, folder, digests=True)
+    rows = read_shards(manifest, folder, digests=True)
     return rows.join(bases, F.col("shard") == F.col("__shard")).select(
         F.col("key").alias("doc_id"), (F.col("base") + F.col("local_start")).alias("start"), "n_tokens", "ids_crc32", "shard"
     )

@@ -401,8 +401,49 @@ def test_sharding(spark, odd):
     assert sum(a[k] != b[k] for k in a) < 0.3 * len(a)  # a plain modulo would move nine of ten
 
 
+def test_placement_against_a_walk_of_single_documents(spark):
+    """Every document of a ring placed one by one, as the operator states it: own shards first, then clockwise, nearest arcs first."""
+    from motifmill.llm.sharding import capacities, ring_points, ring_shards
+    from pyspark.sql import functions as F
+
+    docs = spark.range(3000).withColumn("doc_id", F.col("id") * 7).drop("id")
+    spots = {r.doc_id: r.at for r in docs.select("doc_id", F.xxhash64(F.lit("key"), "doc_id").alias("at")).collect()}
+    for slack in (0.0, 0.2):
+        ring = [(r.point, r.shard) for r in ring_points(spark, 10, 16).orderBy("arc").collect()]
+        room, place, waiting = capacities(3000, 10, slack), {}, [[] for _ in ring]
+        for i in sorted(spots, key=lambda i: (spots[i], i)):
+            waiting[next((k for k, (p, _) in enumerate(ring) if p >= spots[i]), 0)].append(i)
+        wrapped = [i for i in waiting[0] if spots[i] > ring[-1][0]]
+        waiting[0] = sorted([i for i in waiting[0] if i not in set(wrapped)] + wrapped, key=lambda i: (spots[i], i))
+        for step in range(len(ring)):
+            for arc, docs_left in enumerate(waiting):
+                shard = ring[(arc + step) % len(ring)][1]
+                while docs_left and room[shard]:
+                    place[docs_left.pop(0)] = shard
+                    room[shard] -= 1
+        found = {r.doc_id: r.shard for r in ring_shards(docs, 10, F.col("doc_id"), ["doc_id"], vnodes=16, slack=slack).collect()}
+        assert found == place
+
+
+def test_hot_arc_and_movement(spark, monkeypatch):
+    """Half of all rows share a key, in parts of a few rows; and what a forty-first shard moves at the registered slack."""
+    from motifmill.llm import sharding as R
+    from pyspark.sql import functions as F
+
+    docs = spark.range(4000).select(F.when(F.col("id") < 2000, 5).otherwise(F.col("id")).alias("doc_id"), F.col("id").alias("n"))
+    monkeypatch.setattr(R, "HOT_ARC", 300)
+    found = R.ring_shards(docs, 8, F.col("doc_id"), ["doc_id"]).collect()
+    slots = defaultdict(list)
+    for r in found:
+        slots[r.shard].append(r.slot)
+    assert {r.n for r in found} == set(range(4000)) and all(sorted(x) == list(range(500)) for x in slots.values())
+    ids = spark.range(20000).withColumnRenamed("id", "doc_id")
+    a, b = ({r.doc_id: r.shard for r in R.ring_shards(ids, n, F.col("doc_id"), ["doc_id"]).collect()} for n in (40, 41))
+    assert sum(a[i] != b[i] for i in a) < 0.25 * len(a)  # even loads move more than the fortieth that a bare ring moves
+
+
 def test_token_shards(spark, odd, tmp_path):
-    from motifmill.llm.sstable import ShardReader, TokenTable, write_shards
+    from motifmill.llm.sstable import ShardReader, TokenTable, read_shards, write_shards
 
     folder, documents = odd
     tok = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
@@ -416,6 +457,8 @@ def test_token_shards(spark, odd, tmp_path):
         start += r["n_tokens"]
     where = f"file://{tmp_path}/shards"
     manifest = write_shards(spark.read.parquet(f"{folder}/documents.parquet"), where, public_tokenizers.path("byte_bpe_50k.json")).orderBy("shard").collect()
+    back = read_shards(spark.createDataFrame(manifest), where).collect()
+    assert Counter((r.key, tuple(r.ids)) for r in back) == Counter((d[0], tuple(encode(d[1]))) for d in documents)
     table = TokenTable([(m.name, m.first_id, m.last_id) for m in manifest], where)
     assert [x.tolist() for x in table.get(6)] == [encode(documents[6][1])] and table.get(10**9) == [] and len(table.get(None)) == 2
     with pytest.raises(ValueError):
@@ -423,15 +466,42 @@ def test_token_shards(spark, odd, tmp_path):
 
 
 def test_licenses(spark):
-    from motifmill.llm.licenses import CUE, KNOWN, canonical, scan_licenses
+    from motifmill.llm.licenses import CUE, KNOWN, canonical, digests, scan_licenses
 
     assert all(re.search(CUE, t) for _, t in KNOWN)
-    mit = KNOWN[0][1]
-    other = "Copyright (c) 2020 Someone\n" + mit.upper().replace("SUBLICENSE", "sub-licence").replace(",", " ,")
+    of = dict(reversed(KNOWN))
+    first = {n: t for n, t in reversed(KNOWN) if "\n" in t}
+    mit = first["MIT"]
+    other = "Copyright (c) 2020 Someone\nAll rights reserved.\n" + mit.upper().replace("SUBLICENSE", "sub-licence").replace(",", " ,")
+    wrap = lambda t, n, mark="": "\n".join(mark + " ".join(t.split()[k : k + n]) for k in range(0, len(t.split()), n))
     docs = [(1, mit), (2, other), (3, "text\nReleased under the MIT licence!\nmore"), (4, None), (5, ""), (6, mit + " and more"), (7, "plain")]
+    docs += [(8, "The MIT License (MIT)\n\nCopyright © 2021 J. Smith Inc.\n\n" + wrap(mit, 9, " * ")), (9, "(c) 2020 X. Licensed under the MIT License.")]
+    wrapped = {10 + k: n for k, n in enumerate(sorted(first))}
+    docs += [(i, "Copyright (c) <year> <owner>.\n" + wrap(first[n], 7)) for i, n in wrapped.items()]
+    docs.append((30, "purpose with or without fee is hereby granted, provided that the above\ncopyright notice and this permission notice appear in all copies."))
     out = {r.key: (r.license, r.line_licenses) for r in scan_licenses(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
-    assert out[1][0] == out[2][0] == "MIT" and out[3] == (None, "MIT") and out[6][0] is None and out[4] == out[5] == out[7] == (None, "")
+    assert out[1][0] == out[2][0] == out[8][0] == "MIT" and out[3] == (None, "MIT") and out[6][0] is None and out[4] == out[5] == out[7] == (None, "")
+    assert out[9] == ("MIT", "MIT") and all(out[i][0] == n for i, n in wrapped.items()) and out[30] == (None, "")
     assert canonical("The  Organisation's LICENCE") == "the organization s license"
+    own = digests([("house rules", "Take off your shoes.\nBe kind."), ("none", "...")])
+    rows_ = spark.createDataFrame([(1, "take OFF your shoes, be kind"), (2, "Take off your shoes")], "doc_id long, text string")
+    assert {r.key: r.license for r in scan_licenses(rows_, known=own).collect()} == {1: "house rules", 2: None}
+    assert {r.license for r in scan_licenses(rows_, known={}).collect()} == {None} and len(of) > 5
+
+
+def test_long_license_texts(spark):
+    import os
+
+    from motifmill.llm.licenses import scan_licenses
+
+    folder = "/usr/share/common-licenses"
+    names = {"Apache-2.0": "Apache-2.0", "GPL-2": "GPL-2.0", "GPL-3": "GPL-3.0", "LGPL-2.1": "LGPL-2.1", "MPL-2.0": "MPL-2.0", "CC0-1.0": "CC0-1.0"}
+    texts = [(n, open(f"{folder}/{f}", encoding="utf-8", errors="replace").read()) for f, n in names.items() if os.path.exists(f"{folder}/{f}")]
+    docs = [(n, " ".join(t.split())) if n == "MPL-2.0" else (n, t.upper()) for n, t in texts]
+    if not docs:
+        pytest.skip("this system has no folder of license texts")
+    out = {r.key: r.license for r in scan_licenses(spark.createDataFrame(docs, "doc_id string, text string")).collect()}
+    assert out == {n: n for n, _ in docs}
 
 
 def test_chat(spark, odd):
@@ -462,6 +532,46 @@ def test_chat(spark, odd):
     assert score(3) == score(10**6)
 
 
+def test_chat_against_a_plain_viterbi(spark):
+    """Whole transcripts by the textbook recurrence, in plain Python; and the rendering written again."""
+    from motifmill.llm.chat import BEGIN, MARKERS, ROLES, STATES, as_transcript, fit, format_transcripts, observed
+    from motifmill.llm.chat import decode_rows
+
+    turns = spark.read.parquet("/root/testdata/sf0.001/conversations.parquet")
+    rows_ = as_transcript(turns.where("conv_id < 60"))
+    model = fit(as_transcript(turns.where("conv_id >= 60")))
+    talks = defaultdict(list)
+    for r in sorted(observed(rows_).collect(), key=lambda r: (r.id, r.pos)):
+        talks[r.id].append((r.pos, r.text, r.obs))
+    states = {(r.id, r.pos): r.states for r in decode_rows(rows_, model, 4).collect()}
+    formatted = {(r.id, r.pos): r for r in format_transcripts(rows_, model, 4).collect()}
+    marker = re.compile(rf"^\s*({'|'.join(m for ms in MARKERS.values() for m in ms)})\s*:\s?")
+    assert len(formatted) == sum(map(len, talks.values()))
+    for i, talk in talks.items():
+        best = {BEGIN: 0}
+        for o in (o for _, _, obs in talk for o in obs):
+            best = {s: max(score + int(model.step[b, s]) for b, score in best.items()) + int(model.emit[s, o]) for s in range(STATES) if s != BEGIN}
+        score, before = 0, BEGIN
+        for pos, text, obs in talk:
+            for o, s in zip(obs, states[i, pos], strict=True):
+                score, before = score + int(model.step[before, s] + model.emit[s, o]), s
+            parts = [f"<|{ROLES[s]}|>\n{marker.sub('', x, count=1)}" if s < 3 else x for x, s in zip((text or "").split("\n"), states[i, pos], strict=True)]
+            r = formatted[i, pos]
+            assert (r.rendered, r.n_turns, r.role) == ("\n".join(parts), sum(s < 3 for s in states[i, pos]), ROLES[states[i, pos][0] % 3])
+        assert score == max(best.values())
+
+
+def test_chat_rows_without_id_or_position(spark):
+    from motifmill.llm.chat import as_transcript, decode_rows, fit
+
+    turns = spark.read.parquet("/root/testdata/sf0.001/conversations.parquet")
+    model = fit(as_transcript(turns))
+    docs = [(None, None, f"User: lost {k}") for k in range(300)] + [(1, None, f"User: where {k}") for k in range(300)] + [(2, 5, "Assistant: same")] * 50 + [(2, -3, None), (2, 2**40, "x\ny")]
+    out = decode_rows(spark.createDataFrame(docs, "id long, pos long, text string"), model, 8).collect()
+    assert Counter((r.id, r.pos, r.text) for r in out) == Counter(docs)
+    assert all(len(r.states) == len((r.text or "").split("\n")) for r in out)
+
+
 def test_pipeline(spark, odd):
     folder, _ = odd
     names = spark.read.parquet(f"{folder}/documents.parquet").columns
