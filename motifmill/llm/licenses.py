@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 # Patterns of the canonical form, in the order in which they apply.
 SENTENCE = r"\.[^\S\n]+(licen[cs]ed|released|distributed|permission|redistribution|this)"  # opens a line of its own
-COPYRIGHT_LINE = r"(?m)^[^a-z0-9\n]*((portions )?copyright\s*(\(c\)|©|\d{4}|[\[<{])|\(c\)|all rights reserved\W*$)[^\n]*$"
+COPYRIGHT_LINE = r"(?m)^[^a-z0-9\n]*((portions )?copyright\s*(\(c\)|©|\d{4}|[\[<{])|(\(c\)|©)\s*(\d{4}|[\[<{])|all rights reserved\W*$)[^\n]*$"
 SPELLINGS = [
     ("licence", "license"), ("sub-license", "sublicense"), ("non-infringement", "noninfringement"), ("organisation", "organization"),
     ("behaviour", "behavior"), ("favour", "favor"), ("authorisation", "authorization"), ("recognise", "recognize"), ("whilst", "while"),
@@ -120,7 +120,7 @@ KNOWN = [
 
 #: SHA-256 of the canonical form of long public license texts, as Debian's base system carries them.
 LONG_TEXTS = {
-    "7344d7b010ed06669d02fd695b0ad14b4f233520668c35c46d585f981ed64e02": "Apache-2.0",
+    "4a6318c7afd8feed8c4463ea5ae0f2f609d433928a8b17f31104c8e7743de2c5": "Apache-2.0",
     "08f1dc258c8f9e175155356aa1dd0dead8cfdec586bc1bb4c8b1452699a91702": "Artistic-1.0-Perl",
     "96bdc7f63190fb4bd1ae584b890300ed7517d858b34c945642a3b9b2f1612a5f": "CC0-1.0",
     "1c057ea35084eb195331cec1a49fca335c176422a7726a9a23636906fd4e241f": "GFDL-1.2",
@@ -131,8 +131,8 @@ LONG_TEXTS = {
     "61af4dcea4e412e8ccfb8877fd2762bd6d962f8d42a9fa2c06cf7b4613f2c908": "LGPL-2.0",
     "4d55922bdeafabde164d75448bbfb0b474bf952bbb541325364010900acd9891": "LGPL-2.1",
     "aae2b222477171fb64e298e7965e768a9a6f85320646b266c94399ac029d42be": "LGPL-3.0",
-    "1cfb6cca26abe2169c9c61164807107b2d4a0b64955a2cf2de46fad3483acda1": "MPL-1.1",
-    "8f0473f9c917c507827dca355168119bb065ca1a9dab0e366988bcdba5fa039b": "MPL-2.0",
+    "26ba73e836ecb04fe87d5eca80ca27cff1afa2d7683455be1517bd23b8d27986": "MPL-1.1",
+    "4019e4c8fe9ede57c538b37b3332dc097a88c163e273bb6905d38316e63c2eb6": "MPL-2.0",
 }
 
 
