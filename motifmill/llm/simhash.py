@@ -38,7 +38,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from motifmill.functions.scratch import materialise
-from motifmill.llm.components import star_components
+from motifmill.llm.components import least_labels, star_components
 from motifmill.llm.words import byte_slices, raw_texts
 
 SEED = 42
@@ -139,19 +139,6 @@ class GrayIndex:
         return who + base, node
 
 
-def least_labels(u: np.ndarray, v: np.ndarray, n: int) -> np.ndarray:
-    """For each of ``n`` places the least place of its component under the links (u, v)."""
-    parent = np.arange(n)
-    while len(u):
-        a, b = parent[u], parent[v]
-        apart = a != b
-        u, v, a, b = u[apart], v[apart], a[apart], b[apart]
-        np.minimum.at(parent, np.maximum(a, b), np.minimum(a, b))
-        while (parent[parent] != parent).any():
-            parent = parent[parent]
-    return parent
-
-
 def _range_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows (part, visitor, fp, root) in the order of (part, visitor, fp); yields links between roots.
 
