@@ -7,23 +7,23 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from motifmill.functions.scratch import materialise
+from motifmill.functions.scratch import materialise, materialise_bucketed
 from motifmill.operators import compress as K
 from motifmill.operators.incremental import drop_removed, patch_set
 from motifmill.operators.join import run_tree
 from motifmill.operators.store import (
     Partitioner,
-    adjacency,
     build_store,
     degrees,
     normalize_update,
     partition_bitmaps,
+    star_lists,
     update_store,
     updated_edges,
 )
 from motifmill.plans.estimate import Degrees, Sizes, degree_moments
 from motifmill.plans.pattern import PATTERNS, Order, Pattern, named, symmetry_order
-from motifmill.plans.planner import PIPELINED, Tree, Weights, best_cover, cost_total, left_deep_plans, optimal_tree
+from motifmill.plans.planner import PIPELINED, Tree, Weights, best_plan, cost_total, left_deep_plans, optimal_tree
 
 
 @dataclass(frozen=True)
@@ -69,7 +69,7 @@ class SubgraphEngine:
     def load(self, edges: DataFrame) -> SubgraphEngine:
         """Takes canonical edges; writes the graph and its store once."""
         self.edges = materialise(edges, "graph")
-        self.store = materialise(build_store(self.edges, self.h, self.method), "store")
+        self.store = materialise_bucketed(build_store(self.edges, self.h, self.method), "store", "center")
         self.stats = degree_moments(degrees(self.edges))
         self.matches.clear()
         return self
@@ -78,8 +78,8 @@ class SubgraphEngine:
         p = pattern if isinstance(pattern, Pattern) else named(pattern) if pattern in PATTERNS else Pattern.parse(pattern)
         order = symmetry_order(p)
         sizes = Sizes(self.stats, order, order_factor)
-        cover = best_cover(p, sizes, bound=bound) if compressed else None
-        return Plan(p, order, cover, optimal_tree(p, sizes, cover, family, self.weights), sizes)
+        cover, tree = best_plan(p, sizes, family, self.weights, bound) if compressed else (None, optimal_tree(p, sizes, None, family, self.weights))
+        return Plan(p, order, cover, tree, sizes)
 
     def compressed(self, pattern: str | Pattern, materialize: bool = False) -> tuple[Plan, DataFrame]:
         plan = self.plan(pattern)
@@ -106,7 +106,7 @@ class SubgraphEngine:
         """One batch of (op, u, v): updates graph, store and all watched patterns; returns (patch, removed) plain rows of each."""
         deleted, added = (materialise(x, "update") for x in normalize_update(self.edges, update))
         new_edges = materialise(updated_edges(self.edges, deleted, added), "graph")
-        new_store = materialise(update_store(self.store, adjacency(self.edges), deleted, added, self.h), "store")
+        new_store = materialise_bucketed(update_store(self.store, star_lists(self.store, deleted, added), deleted, added, self.h), "store", "center")
         bitmaps = partition_bitmaps(new_edges, self.h) if route == "bitmap" else None
         changes = {}
         for name, (plan, old) in self.matches.items():

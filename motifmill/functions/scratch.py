@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 _OWN: dict[str, str] = {}
 _WRITTEN: list[tuple[SparkSession, str]] = []
+_TABLES: list[tuple[SparkSession, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -58,6 +59,22 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def materialise_bucketed(df: DataFrame, label: str, key: str) -> DataFrame:
+    """The same as a table bucketed by ``key``, one file a bucket; the table's name is dropped at exit.
+
+    Joins and groups on the key and further columns then need no exchange, as long as
+    ``spark.sql.requireAllClusterKeysForCoPartition`` is false.
+    """
+    spark = df.sparkSession
+    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    name = f"motifmill_{label}_{uuid.uuid4().hex}"
+    path = fresh_path(spark, label)
+    _TABLES.append((spark, name))
+    dealt = df.repartition(buckets, key)
+    dealt.write.bucketBy(buckets, key).sortBy(key).option("path", path).saveAsTable(name)
+    return spark.table(name)
+
+
 def discard(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
@@ -65,6 +82,12 @@ def discard(spark: SparkSession, path: str) -> None:
 
 
 def _clean() -> None:
+    for spark, name in _TABLES:
+        try:
+            if spark.sparkContext._jsc is not None:
+                spark.sql(f"DROP TABLE IF EXISTS {name}")
+        except Exception:  # the session has ended before the interpreter
+            break
     for spark, path in _WRITTEN:
         try:
             if spark.sparkContext._jsc is not None:

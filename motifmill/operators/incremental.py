@@ -91,6 +91,8 @@ def seed_slices(store: DataFrame, q: Pattern, cover: frozenset[str], order: Orde
     listed = list_unit_compressed(near, q, cover, order, anchor)
     for e in barred:
         listed = edge_condition(listed, e, added, False, cover)
+    if len(own) > 1:
+        listed = materialise(listed, "listed")  # every slice reads it
     out = []
     for k, e in enumerate(own):
         part = edge_condition(listed, e, added, True, cover)
@@ -131,7 +133,8 @@ def expand(left: DataFrame, piece: Pattern, store: DataFrame, q: Pattern, anchor
     keys = [v for v in kept(piece, cover) if v in q.vertices]
     centers = route(left, keys, anchor, store, how, h, bitmaps)
     near = store.join(centers, "center", "left_semi").select(store.columns)
-    right = list_unit_compressed(near, q, cover, order, anchor)
+    wanted = left.select(*[f"s_{k}" for k in keys]).distinct()
+    right = list_unit_compressed(near, q, cover, order, anchor, only=wanted)
     for e in barred:
         right = edge_condition(right, e, added, False, cover)
     return compressed_join(left, right, piece, q, cover, order)

@@ -124,8 +124,8 @@ def _list_hof(store: DataFrame, q: Pattern, order: Order, anchor: str) -> DataFr
     return out.where(all_of(conditions)).select(*[f"f_{v}" for v in q.vertices])
 
 
-def list_unit_compressed(store: DataFrame, q: Pattern, cover: frozenset[str], order: Order, anchor: str | None = None, how: str = "intersect") -> DataFrame:
-    """Compressed matches of a unit whose anchor is in the cover.
+def list_unit_compressed(store: DataFrame, q: Pattern, cover: frozenset[str], order: Order, anchor: str | None = None, how: str = "intersect", only: DataFrame | None = None) -> DataFrame:
+    """Compressed matches of a unit whose anchor is in the cover; ``only`` names images of some cover vertices that are wanted.
 
     ``group`` lists plain matches and groups them by skeleton. ``intersect`` lists only
     images of the cover and takes each other vertex's candidates as the intersection of
@@ -136,8 +136,11 @@ def list_unit_compressed(store: DataFrame, q: Pattern, cover: frozenset[str], or
     order = restrict(order, q.vertices)
     columns = [f"s_{v}" for v in kept(q, cover)] + [f"c_{v}" for v in free(q, cover)]
     if how == "group":
-        return compress(list_unit(store, q, order, anchor), q, cover).select(columns)
+        out = compress(list_unit(store, q, order, anchor), q, cover).select(columns)
+        return out if only is None else out.join(only, only.columns, "left_semi")
     out = list_vertices(store, q, anchor, [v for v in kept(q, cover) if v != anchor], order, "s_")
+    if only is not None:
+        out = out.join(only, only.columns, "left_semi")  # before any candidate set is built
     lists = None
     for y in free(q, cover):
         sources = [x for x in sorted(q.neighbours[y]) if x != anchor]

@@ -47,6 +47,13 @@ def adjacency(edges: DataFrame) -> DataFrame:
     return both_ways(edges).groupBy("v").agg(F.sort_array(F.collect_list("n")).alias("nbrs")).withColumn("deg", F.size("nbrs"))
 
 
+def star_lists(store: DataFrame, deleted: DataFrame, added: DataFrame) -> DataFrame:
+    """(v, nbrs, deg) of the vertices that an update touches, from the store's star rows: no scan of all edges, no list of others."""
+    ends = both_ways(deleted.unionByName(added)).select(F.col("v").alias("center")).distinct()
+    rows = store.where(F.col("kind") == STAR).join(ends, "center", "left_semi")
+    return rows.groupBy(F.col("center").alias("v")).agg(F.sort_array(F.collect_list("b")).alias("nbrs")).withColumn("deg", F.size("nbrs"))
+
+
 def degrees(edges: DataFrame) -> DataFrame:
     """(v, deg) without the lists."""
     return both_ways(edges).groupBy("v").agg(F.count("*").cast("int").alias("deg"))

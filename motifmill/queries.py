@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from motifmill.api import participation
-from motifmill.functions.scratch import fresh_path, materialise
+from motifmill.functions.scratch import fresh_path, materialise, materialise_bucketed
 from motifmill.operators import baselines as B
 from motifmill.operators import compress as K
 from motifmill.operators import incremental as I
@@ -18,7 +18,7 @@ from motifmill.operators.join import run_tree
 from motifmill.operators.listing import list_unit
 from motifmill.plans.estimate import Sizes, degree_moments, expected_matches, relaxed_matches
 from motifmill.plans.pattern import named, symmetry_order
-from motifmill.plans.planner import best_cover, cost_total, optimal_tree
+from motifmill.plans.planner import best_plan, cost_total, optimal_tree
 from motifmill.sources.graphs import GRAPH_SQL, GRAPHS, edges_sql, emb_knn5, update_batch, update_sql
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -34,7 +34,13 @@ def edges_of(spark: SparkSession, sf_dir: str, graph: str) -> DataFrame:
 
 
 def store_of(edges: DataFrame) -> DataFrame:
-    return materialise(S.build_store(edges, MOD), "store")
+    """The store as a table bucketed by center; joins on the center and more columns keep to that."""
+    return bucketed(S.build_store(edges, MOD))
+
+
+def bucketed(store: DataFrame) -> DataFrame:
+    store.sparkSession.conf.set("spark.sql.requireAllClusterKeysForCoPartition", "false")
+    return materialise_bucketed(store, "store", "center")
 
 
 class Setting:
@@ -46,8 +52,10 @@ class Setting:
         self.edges = edges_of(spark, sf_dir, graph)
         self.store = store_of(self.edges)
         self.sizes = Sizes(degree_moments(S.degrees(self.edges)), self.order)
-        self.cover = best_cover(self.p, self.sizes) if compressed else None
-        self.tree = optimal_tree(self.p, self.sizes, self.cover, family)
+        if compressed:
+            self.cover, self.tree = best_plan(self.p, self.sizes, family)
+        else:
+            self.cover, self.tree = None, optimal_tree(self.p, self.sizes, None, family)
 
     def matches(self, **how) -> DataFrame:
         return run_tree(self.store, self.tree, self.cover, self.order, **how)
@@ -60,7 +68,7 @@ class Setting:
 
     def later(self, deleted: DataFrame, added: DataFrame) -> tuple[DataFrame, DataFrame]:
         edges = materialise(S.updated_edges(self.edges, deleted, added), "edges")
-        return edges, materialise(S.update_store(self.store, S.adjacency(self.edges), deleted, added, MOD), "store")
+        return edges, bucketed(S.update_store(self.store, S.star_lists(self.store, deleted, added), deleted, added, MOD))
 
 
 # -- graph and store -----------------------------------------------------------
@@ -153,6 +161,11 @@ def ratio_query(spark, sf_dir, graph, pattern, cover):
     return K.ratio(cm, p, cover, order).select("matches", "ints", F.round("ratio", 6).alias("ratio"))
 
 
+def squares_query(spark, sf_dir):
+    """Squares of customers and suppliers, from compressed matches."""
+    return count_query(spark, sf_dir, "cust_supp", "square")
+
+
 def cliques_query(spark, sf_dir, graph, k):
     rows = B.list_cliques(edges_of(spark, sf_dir, graph), k)
     t = F.sort_array(F.array(*rows.columns))
@@ -178,8 +191,7 @@ def plan_query(spark, sf_dir, graph):
     for name in [*MAIN, *FURTHER]:
         p = named(name)
         sizes = Sizes(d, symmetry_order(p))
-        cover = best_cover(p, sizes)
-        tree = optimal_tree(p, sizes, cover)
+        cover, tree = best_plan(p, sizes)
         rows.append((name, "".join(sorted(cover)), tree.joins, cost_total(tree, 4.0 * d.edges, sizes, cover)))
     return spark.createDataFrame(rows, "pattern string, cover string, joins int, cost double")
 
@@ -321,6 +333,14 @@ def queries() -> dict[str, Query]:
         out[f"count_{p}_doc_lines"] = partial(count_query, graph="doc_lines", pattern=p)
     out["count_triangle_fk_graph"] = partial(count_query, graph="fk_graph", pattern="triangle")
     out["count_triangle_copart"] = partial(count_query, graph="copart", pattern="triangle")
+    out["count_square_cust_supp"] = squares_query
+    out["count_triangle_events_seq"] = partial(count_query, graph="events_seq", pattern="triangle")
+    out["list_cycle6_events_3d"] = partial(list_query, graph="events_3d", pattern="cycle6")
+    out["list_triangle_fk_graph"] = partial(list_query, graph="fk_graph", pattern="triangle")
+    out["patch_triangle_fk_graph"] = partial(patch_query, graph="fk_graph", pattern="triangle")
+    out["updated_triangle_fk_graph"] = partial(updated_query, graph="fk_graph", pattern="triangle")
+    out["removed_triangle_fk_graph"] = partial(removed_query, graph="fk_graph", pattern="triangle")
+    out["update_store_fk_graph"] = partial(update_store_query, graph="fk_graph")
     out["compressed_square"] = partial(compressed_query, graph="events_3d", pattern="square", cover="abc")
     out["compressed_triangle"] = partial(compressed_query, graph="events_3d", pattern="triangle", cover="ab")
     out["compressed_triangle_grouped"] = partial(compressed_query, graph="events_3d", pattern="triangle", cover="ab", how="group")
@@ -436,6 +456,14 @@ SELECT count(*)::BIGINT AS vertices, sum(deg)::BIGINT AS shipped, (3 * sum(deg))
     for g, p in (("doc_lines", "triangle"), ("doc_lines", "square"), ("doc_lines", "diamond"), ("fk_graph", "triangle"), ("copart", "triangle")):
         q = named(p)
         out[f"count_{p}_{g}"] = f"WITH {edges_sql(g)} {B.brute_force_sql(q, symmetry_order(q), select='count(*)::BIGINT AS matches')}"
+    out["count_square_cust_supp"] = f"""WITH {edges_sql('cust_supp')}, e AS (SELECT CASE WHEN u % 2 = 0 THEN u ELSE v END AS c, CASE WHEN u % 2 = 0 THEN v ELSE u END AS s FROM edges),
+n AS (SELECT count(*) AS n FROM e a JOIN e b ON a.s = b.s AND a.c < b.c GROUP BY a.c, b.c) SELECT coalesce(sum(n * (n - 1) // 2), 0)::BIGINT AS matches FROM n"""
+    out["count_triangle_events_seq"] = f"WITH {edges_sql('events_seq')} {B.brute_force_sql(named('triangle'), symmetry_order(named('triangle')), select='count(*)::BIGINT AS matches')}"
+    out["list_cycle6_events_3d"] = _listing("events_3d", "cycle6")
+    out["list_triangle_fk_graph"] = _listing("fk_graph", "triangle")
+    for what in ("patch", "updated", "removed"):
+        out[f"{what}_triangle_fk_graph"] = _dynamic("fk_graph", "triangle", what)
+    out["update_store_fk_graph"] = f"WITH {edges_sql('fk_graph')}, {update_sql(BATCH)} {_store_rows('later')}"
     out["compressed_square"] = _compressed("events_3d", "square", "abc")
     out["compressed_triangle"] = out["compressed_triangle_grouped"] = _compressed("events_3d", "triangle", "ab")
     out["compressed_diamond"] = _compressed("events_3d", "diamond", "ac")

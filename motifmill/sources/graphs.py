@@ -24,12 +24,23 @@ def _shared(members: DataFrame, group: str, member: str) -> DataFrame:
     return left.join(right, group).where("x < y")
 
 
-def doc_lines(spark: SparkSession, sf_dir: str, least: int = 20, most_docs: int = 50) -> DataFrame:
-    """Documents that share a trimmed line of 20 characters and more, which 2 to 50 documents have."""
+#: Ids of line vertices start here, above all document ids.
+LINE_IDS = 1 << 60
+
+
+def doc_lines(spark: SparkSession, sf_dir: str, least: int = 20, hub: int = 50) -> DataFrame:
+    """Documents that share a trimmed line of 20 characters and more.
+
+    A line of up to ``hub`` documents links each two of them. A more frequent one is a vertex itself, linked to each of
+    its documents, so a line that a third of all documents have costs one edge a document and no pairs.
+    """
     lines = table(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line"))
     marks = lines.select("doc_id", F.trim("line").alias("line")).where(F.length("line") >= least).select("doc_id", F.md5("line").alias("h")).distinct()
-    wanted = marks.groupBy("h").count().where(F.col("count").between(2, most_docs)).select("h")
-    return canonical_edges(_shared(marks.join(wanted, "h"), "h", "doc_id"), "x", "y")
+    shared = marks.groupBy("h").count().where("count > 1")
+    pairs = _shared(marks.join(shared.where(F.col("count") <= hub).select("h"), "h"), "h", "doc_id").select("x", "y")
+    line = F.conv(F.substring("h", 1, 14), 16, 10).cast("bigint") + F.lit(LINE_IDS)
+    hubs = marks.join(shared.where(F.col("count") > hub).select("h"), "h").select(F.col("doc_id").alias("x"), line.alias("y"))
+    return canonical_edges(pairs.union(hubs), "x", "y")
 
 
 def _next_users(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -136,8 +147,9 @@ GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 GRAPH_SQL = {
     "doc_lines": """WITH l AS (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents),
         m AS (SELECT DISTINCT doc_id, md5(trim(line, ' ')) AS h FROM l WHERE length(trim(line, ' ')) >= 20),
-        k AS (SELECT h FROM m GROUP BY h HAVING count(*) BETWEEN 2 AND 50)
-        SELECT a.doc_id AS u, b.doc_id AS v FROM m a JOIN m b USING (h) JOIN k USING (h) WHERE a.doc_id < b.doc_id""",
+        k AS (SELECT h FROM m GROUP BY h HAVING count(*) BETWEEN 2 AND 50), j AS (SELECT h FROM m GROUP BY h HAVING count(*) > 50)
+        SELECT a.doc_id AS u, b.doc_id AS v FROM m a JOIN m b USING (h) JOIN k USING (h) WHERE a.doc_id < b.doc_id
+        UNION ALL SELECT doc_id, ('0x' || substr(h, 1, 14))::BIGINT + 1152921504606846976 FROM m JOIN j USING (h)""",
     "events_3d": "SELECT u, v FROM (SELECT ts, user_id AS u, lead(user_id) OVER (ORDER BY ts, event_id) AS v FROM events) WHERE ts < TIMESTAMP '2024-01-04'",
     "events_seq": "SELECT user_id AS u, lead(user_id) OVER (ORDER BY ts, event_id) AS v FROM events",
     "copart_ge2": """WITH m AS (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem)

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from motifmill.operators.compress import decompress
 from motifmill.operators.incremental import drop_removed, patch_set
-from motifmill.operators.store import Partitioner, adjacency, build_store, normalize_update, update_store, updated_edges
+from motifmill.operators.store import Partitioner, build_store, normalize_update, star_lists, update_store, updated_edges
 from motifmill.plans.pattern import Order, Pattern
 
 
@@ -56,7 +56,7 @@ class Maintainer:
         deleted, added = normalize_update(edges, self.state.read(batch_id, "update"))
         self.state.write(batch_id, deleted=deleted, added=added)
         deleted, added = self.state.read(batch_id, "deleted"), self.state.read(batch_id, "added")
-        self.state.write(batch_id, edges=updated_edges(edges, deleted, added), store=update_store(store, adjacency(edges), deleted, added, self.h))
+        self.state.write(batch_id, edges=updated_edges(edges, deleted, added), store=update_store(store, star_lists(store, deleted, added), deleted, added, self.h))
         patch = patch_set(self.state.read(batch_id, "store"), self.p, self.cover, self.order, added, self.h)
         self.state.write(batch_id, patch=patch)
         survivors = drop_removed(matches, self.p, deleted, self.cover)
@@ -86,9 +86,9 @@ def apply_stream(start: Maintainer, batches: Iterator[DataFrame]) -> Maintainer:
     return start
 
 
-def one_edge_batches(update: DataFrame, limit: int) -> Iterator[DataFrame]:
-    """The rows of a small update (at most ``limit``) as batches of one edge."""
-    for row in update.select("op", "u", "v").limit(limit).collect():
+def one_edge_batches(update: DataFrame) -> Iterator[DataFrame]:
+    """All rows of an update as batches of one edge, fetched a partition at a time."""
+    for row in update.select("op", "u", "v").toLocalIterator():
         yield update.sparkSession.createDataFrame([tuple(row)], "op string, u bigint, v bigint")
 
 

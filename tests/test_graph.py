@@ -289,21 +289,50 @@ def test_estimates(spark):
     assert relaxed_matches(p, d) >= expected_matches(p, order, d) and q_error(2, 8) == q_error(8, 2) == 4
 
 
-def test_zero_join_plans_and_exchanges(spark, small):
-    _, edges, store = small
-    store.createOrReplaceTempView("s")
-    name = "motifmill_bucketed_store"
-    spark.sql(f"drop table if exists {name}")
-    spark.conf.set("spark.sql.requireAllClusterKeysForCoPartition", "false")
+@pytest.mark.parametrize("name", ["triangle", "diamond", "wheel4"])
+def test_zero_join_plans_have_no_exchange(spark, name):
+    """Compressed and plain listing as the queries run it, without broadcasts that would hide an exchange."""
+    from motifmill.queries import Setting
+
+    s = Setting(spark, DATA, "events_3d", name)
+    assert s.tree.joins == 0
     spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
     try:
-        saved = S.save_store(store, name, 4)
-        p, order = named("diamond"), symmetry_order(named("diamond"))
-        plan = list_unit(saved, p, order)._jdf.queryExecution().executedPlan().toString()
-        assert plan.count("Exchange") == 0 or "hashpartitioning(center" not in plan
+        for found in (s.matches(), list_unit(s.store, s.p, s.order)):
+            assert "Exchange" not in found._jdf.queryExecution().executedPlan().toString()
     finally:
-        spark.sql(f"drop table if exists {name}")
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+        spark.conf.unset("spark.sql.adaptive.enabled")
+
+
+@pytest.mark.parametrize("graph", ["events_3d", "copart_ge2", "cust_supp"])
+def test_joins_of_the_chosen_plans(spark, graph):
+    """No join where one vertex is next to all others, one for square and house, whatever the graph's degrees."""
+    sf_dir = "/root/testdata/sf0.01" if graph != "cust_supp" else DATA
+    d = degree_moments(S.degrees(G.GRAPHS[graph](spark, sf_dir)))
+    for name, joins in [("triangle", 0), ("diamond", 0), ("wheel4", 0), ("fan4", 0), ("clique4", 0), ("square", 1), ("house", 1), ("k4tri", 0)]:
+        p = named(name)
+        cover, tree = L.best_plan(p, Sizes(d, symmetry_order(p)))
+        assert (name, tree.joins) == (name, joins) and all(x in cover or y in cover for x, y in p.edges)
+
+
+def test_single_edge_stream(spark, small, tmp_path):
+    """Every edge of an update as a batch of its own gives what one batch gives."""
+    from motifmill.streaming.replay import Maintainer, apply_stream, one_edge_batches
+
+    pairs, edges, _ = small
+    p = named("triangle")
+    order = symmetry_order(p)
+    cover = min(vertex_covers(p, True), key=lambda c: (len(c), sorted(c)))
+    gone, come = sorted(pairs)[0], next(e for e in combinations(range(9), 2) if e not in pairs)
+    update = spark.createDataFrame([("-", *gone), ("+", *come), ("+", 3, 20)], "op string, u bigint, v bigint")
+    assert len(list(one_edge_batches(update))) == 3
+    keeper = Maintainer(spark, f"file://{tmp_path}/state", p, cover, order, H)
+    tree = L.optimal_tree(p, Sizes(degree_moments(S.degrees(edges)), order), cover)
+    keeper.start(edges, run_tree(S.build_store(edges, H), tree, cover, order))
+    apply_stream(keeper, one_edge_batches(update))
+    assert rows(keeper.current()) == brute((pairs - {gone}) | {come, (3, 20)}, p, order)
 
 
 def test_sources(spark, tmp_path):
