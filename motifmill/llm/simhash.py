@@ -7,8 +7,8 @@ Index: the distinct fingerprints are sorted by Gray rank, where neighbours diffe
 bits, and cut into ranges of near-equal numbers. Every range is the root of a tree:
 runs of neighbours form nodes, nodes form upper nodes, and each keeps the bits that all
 its members share. The roots themselves form the top of the same tree, which is small
-(at most ``MAX_RANGES`` roots, one for ``RANGE_ROWS`` fingerprints below that) and known
-to all tasks.
+(``LEAST_RANGES`` roots, then one for ``RANGE_ROWS`` fingerprints, at most ``MAX_RANGES``) and
+known to all tasks.
 
 Search: every fingerprint is a query. It walks down from the top and drops a whole group
 as soon as its differences from the group's shared bits exceed three; the roots that are
@@ -43,8 +43,9 @@ from motifmill.llm.words import byte_slices, raw_texts
 
 SEED = 42
 DISTANCE = 3
-#: Fingerprints of a range, until there are MAX_RANGES of them; then ranges grow.
-RANGE_ROWS, MAX_RANGES = 8192, 16384
+#: Fingerprints of a range that a task holds with ease, and the least and most ranges. Queries travel less the fewer ranges
+#: there are, so their number is the least one until ranges are full.
+RANGE_ROWS, LEAST_RANGES, MAX_RANGES = 1 << 20, 64, 16384
 #: Children of a node, and queries that walk down together.
 FAN, TOGETHER = 4, 2048
 
@@ -207,7 +208,7 @@ def similar_links(codes: DataFrame, range_rows: int = RANGE_ROWS) -> DataFrame:
     """Links (u, v) between ids ``root`` of distinct fingerprints ``codes(fp, root)`` that span all pairs within three bits."""
     spark = codes.sparkSession
     rows = codes.count()
-    bounds = range_bounds(codes, min(MAX_RANGES, -(-rows // range_rows)))
+    bounds = range_bounds(codes, min(MAX_RANGES, max(LEAST_RANGES, -(-rows // range_rows))))
 
     def parts_of(fp: np.ndarray) -> np.ndarray:
         rank = (gray_rank(fp.view(np.uint64)) ^ np.uint64(1 << 63)).view(np.int64)
