@@ -12,7 +12,8 @@ digits), secret (a cue, an equals sign or colon, and a quoted value of any lengt
 from eight characters, without white space).
 
 Spans are in code points with the end exclusive. Nulls: a null text is empty and has
-no spans. Repeated rows are judged each. An empty table gives an empty result. Other
+no spans. Repeated rows are judged each. A very long text is read whole, by the task
+that holds its row. An empty table gives an empty result. Other
 columns are passed through by ``redact_documents`` and dropped by ``find_pii``.
 """
 
