@@ -46,9 +46,9 @@ LONG, LEAF = 8192, 2048
 #: Bytes of text from which it is halved, and bytes on each side of a join that its first window has.
 PART, NEAR = 1024, 8
 #: Bytes of text that are split and looked up at once.
-SLICE_BYTES = 8 << 20
+SLICE_BYTES = 2 << 20
 #: Pieces in a generation of a worker's memo.
-MEMO = 500_000
+MEMO = 150_000
 #: White space of Unicode, fixed values.
 WHITE = [*range(0x09, 0x0E), *range(0x1C, 0x21), 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
 UNSAFE = [(chr(c) + " ").encode() for c in WHITE if c > 0x7F]
