@@ -27,6 +27,7 @@ from __future__ import annotations
 
 import os
 import re
+import struct
 from array import array
 from codecs import charmap_decode
 from collections.abc import Iterator
@@ -64,6 +65,8 @@ LATIN_END = "\u0250"
 #: Characters that stand for bytes in byte-level vocabularies: printable ones for themselves, the rest from U+0100 on.
 _PRINTABLE = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
 _REST = iter(range(0x100, 0x200))
+#: Little-endian bytes of few ids.
+ID_BYTES = [struct.Struct(f"<{n}I").pack for n in range(16)]
 BYTE_CHARS = "".join(chr(b) if b in _PRINTABLE else chr(next(_REST)) for b in range(256))
 
 
@@ -106,7 +109,8 @@ def _last_cut(cut: re.Pattern, text: bytes, end: int) -> int:
 class Codec:
     """One tokenizer file: encodes and decodes batches of texts."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, memo: int = MEMO):
+        self.most = memo
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         self.tok = Tokenizer.from_file(path)
         self.tok.no_truncation()
@@ -231,7 +235,7 @@ class Codec:
 
     def _look_up(self, keys: list) -> list[bytes]:
         """Id bytes of distinct pieces; for byte-level tokenizers a piece comes after a space unless it is in a tuple."""
-        if len(self.memo) > MEMO:  # two generations: what is asked for again moves to the new one
+        if len(self.memo) > self.most:  # two generations: what is asked for again moves to the new one
             self.memo, self.older = {}, self.memo
         memo, older = self.memo, self.older
         found = list(map(memo.get, keys))
@@ -239,11 +243,27 @@ class Codec:
         if not places:
             return found
         others = []
+        lead, tokenize, stops, alone, lower = self.lead, self.tokenize, self.stops, self.words_alone, not self.lead_space
         for k in places:
             x = keys[k]
             ids = older.get(x)
-            if ids is None and self.words_alone:
-                ids = self._words(x)
+            if ids is None and alone:
+                # plain ASCII words, which most pieces are, without a call; the same as ``_word``
+                stop = b""
+                word = x if type(x) is bytes else b""
+                if word and not word.isalpha():
+                    stop = stops.get(word[-1:], b"")
+                    word = word[:-1] if stop else b""
+                if word.isalpha() and len(word) <= LONG:
+                    own = [t.id for t in tokenize(lead + (word.lower() if lower else word).decode())]
+                    ids = ID_BYTES[len(own)](*own) + stop if len(own) < len(ID_BYTES) else array("I", own).tobytes() + stop
+                elif b"\n" in (x if type(x) is bytes else x[0]):
+                    ids = self._lines(x)
+                    if ids is not None:
+                        found[k] = ids  # its words are kept, not the two together
+                        continue
+                else:
+                    ids = self._word(x, lead) if type(x) is bytes else self._word(x[0], "")
             if ids is None:
                 others.append(k)
             else:
@@ -261,19 +281,29 @@ class Codec:
         """Little-endian 32-bit ids of each text."""
         return [np.array(x, dtype="<u4").tobytes() for x in self.encode_column(pa.array(texts, pa.binary())).to_pylist()]
 
-    def _words(self, piece: bytes | tuple[bytes]) -> bytes | None:
+    def _lines(self, piece: bytes | tuple[bytes]) -> bytes | None:
         """Id bytes of a piece of plain words, each with a stop at most, in lines; None for others.
 
         A letter and the stop after it are never in one token, and a line end between words is a token of its own.
         """
-        first = isinstance(piece, tuple)
-        if first:
-            (piece,) = piece
-        lead = "" if first else self.lead
-        if b"\n" not in piece:
-            return self._word(piece, lead)
-        out = [self._word(x, "" if k else lead) for k, x in enumerate(piece.split(b"\n"))]
-        return None if None in out else self.line_end.join(out)
+        memo, older, out = self.memo, self.older, []
+        inside = isinstance(piece, tuple)
+        for line in (piece[0] if inside else piece).split(b"\n"):
+            x = (line,) if inside else line
+            # only plain ASCII words may come from the memo, which holds other pieces too
+            plain = (line[:-1] if line[-1:] in self.stops else line).isalpha()
+            ids = memo.get(x) if plain else None
+            if ids is None:
+                ids = older.get(x) if plain else None
+                if ids is None:
+                    ids = self._word(line, "" if inside else self.lead)
+                if ids is None:
+                    return None
+                if plain:
+                    memo[x] = ids
+            out.append(ids)
+            inside = True
+        return self.line_end.join(out)
 
     def _word(self, piece: bytes, lead: str) -> bytes | None:
         """Id bytes of letters and a stop, straight from the model: no pattern splits the letters."""
@@ -383,8 +413,8 @@ class Codec:
 
 
 @lru_cache(maxsize=4)
-def codec(path: str) -> Codec:
-    return Codec(path)
+def codec(path: str, memo: int = MEMO) -> Codec:
+    return Codec(path, memo)
 
 
 def encode_documents(docs: DataFrame, path: str, text: str = "text", key: str = "doc_id", decode: bool = False, carry: tuple[str, ...] = ()) -> DataFrame:

@@ -45,12 +45,14 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from motifmill.functions.scratch import fresh_path, materialise
-from motifmill.llm.bpe import SLICE_BYTES, codec
+from motifmill.llm.bpe import codec
 from motifmill.llm.words import byte_slices
 
 MAGIC = b"TOKSST01"
 FOOTER = struct.Struct("<QIQIBBQQ8s")
 BLOCK_BYTES = 1 << 18
+#: Bytes of text that are encoded at once, and pieces in a generation of the memo: the writers hold little else.
+SLICE_BYTES, MEMO = 4 << 20, 400_000
 #: Bytes of text for a shard.
 SHARD_BYTES = 128 << 20
 BITS_PER_KEY, HASHES = 10, 7
@@ -216,7 +218,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int | Non
     """Encode all rows, append ``end_id`` to each, write the shards to ``folder``; returns the manifest, written as well."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = codec(tokenizer)
+        own = codec(tokenizer, MEMO)
         width = 2 if max(len(own.tokens), (end_id or 0) + 1) <= 1 << 16 else 4
         tail = np.array([] if end_id is None else [end_id], dtype=np.int32)
         part = TaskContext.get().partitionId()
