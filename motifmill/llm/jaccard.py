@@ -1,16 +1,21 @@
-"""Near copies by the Jaccard similarity of word shingles, 0.8 and more.
+"""Near copies: SimHash first, then the Jaccard similarity of word shingles, 0.8 and more.
 
-Candidates: ``BANDS`` keys of ``ROWS`` minima each, over the XXH64 values of a text's
-shingles. A pair at similarity s shares no key with probability
+Search: every text has the SimHash fingerprint of its shingles, and the Gray-order tree of
+``simhash`` finds all fingerprints within three bits of each other. Copies that lie
+further apart share one of ``BANDS`` keys of ``ROWS`` minima each, over the XXH64 values of
+a text's shingles: a pair at similarity s shares no key with probability
 ``(1 - s^ROWS)^BANDS``, 1.2e-7 at 0.8. Every member of a key's bucket is linked to the
-least one, so links grow with the buckets and not with their squares, and any two texts
-that share a key fall into one cluster.
-
-Check: the texts of a cluster meet, and exactly the pairs are linked whose sets of
-shingles are similar by 0.8 and more, whether or not they share a key. Postings of
-shingles give the overlaps; texts that have found their group leave the postings. A
-cluster of more than ``BLOCK`` texts is dealt into blocks, and every two blocks meet in a
-task of their own, so no task holds more than two blocks whatever the cluster's size.
+least one, so links grow with the buckets and not with their squares. Texts that either
+search joins fall into one cluster.
+
+Check: exactly the pairs of a cluster are linked whose sets of shingles are similar by 0.8
+and more, however they were found. Postings of shingles give the overlaps; texts that have
+found their group leave the postings. A cluster of more than ``BLOCK`` texts is dealt into
+blocks. First each block meets alone, with ``PIVOTS`` texts of the cluster that all its
+blocks see, so copies of one text become one group in a pass over the cluster. Texts
+outside the largest group of a cluster then meet all others, again in blocks, and
+only links between groups come out of that: members of the same group are not compared
+again, and no task holds more than two blocks whatever the cluster's size.
 
 Texts, not ids, are the nodes of clusters and groups: ids may repeat with other texts.
 
@@ -28,13 +33,13 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BinaryType, StructField, StructType
 
 from motifmill.functions.scratch import materialise
 from motifmill.llm.components import star_components
-from motifmill.llm.simhash import SEED, shingle_hashes
+from motifmill.llm.simhash import SEED, majority, shingle_hashes, similar_links
 from motifmill.llm.words import byte_slices, raw_texts
 
 #: The least similarity of near copies, as a fraction.
@@ -44,6 +49,8 @@ BANDS, ROWS = 40, 5
 GATHER = 1 << 22
 #: Texts of a cluster that meet in one task as they are.
 BLOCK = 512
+#: Texts of a large cluster that meet every block.
+PIVOTS = 16
 #: Bytes of ids up to which they are broadcast, so that texts that have no part in a join stay where they are.
 IDS_BROADCAST = 32 << 20
 
@@ -66,22 +73,24 @@ def band_keys(hashes: np.ndarray) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, width: int, text: str, key: str) -> DataFrame:
-    """(key, digest of the words, keys of the bands); a text without words has no bands."""
+    """(key, digest of the words, SimHash fingerprint, keys of the bands); a text without words has no bands."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in byte_slices(batches, 1, 4 << 20):
-            digests, keys, ends = [], [np.zeros(0, np.int64)], [0]
+            digests, codes, keys, ends = [], [], [np.zeros(0, np.int64)], [0]
             for raw in raw_texts(batch.column(1)):
                 hashes = shingle_hashes(raw, width)
                 digests.append(xxhash.xxh3_128_digest(b" ".join(raw.lower().split())))
+                codes.append(majority(hashes))
                 if len(hashes):
                     keys.append(band_keys(hashes))
                 ends.append(ends[-1] + (BANDS if len(hashes) else 0))
             bands = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate(keys)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(digests, pa.binary()), bands], ["key", "digest", "bands"])
+            codes = pa.array(np.array(codes, dtype=np.uint64).view(np.int64), pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(digests, pa.binary()), codes, bands], ["key", "digest", "fp", "bands"])
 
     kind = docs.schema[key].dataType.simpleString()
-    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, digest binary, bands array<bigint>")
+    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, digest binary, fp bigint, bands array<bigint>")
 
 
 def _bucket_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -160,65 +169,137 @@ def similar_groups(sets: list[np.ndarray]) -> np.ndarray:
     return label
 
 
-def _cluster_links(width: int):
-    """Rows (cluster, key, text) sorted by both; yields a link from each key to the first of its group."""
+def cross_links(sets: list[np.ndarray], groups: list[int], loose: list[bool]) -> list[tuple[int, int]]:
+    """Links (larger, smaller) that join the groups of sets similar by 0.8 and more; only ``loose`` sets are compared with others."""
+    names, at = np.unique(np.array(groups), return_inverse=True)
+    parent = np.arange(len(names))
+    sizes = np.array([len(s) for s in sets])
+    posts, out = Postings(sets), []
+    for one in np.flatnonzero(loose):
+        label = parent[at]
+        if (label == label[one]).all():
+            continue
+        both = posts.overlaps(sets[one])
+        near = np.unique(label[DENOMINATOR * both >= NUMERATOR * (sizes + sizes[one] - both)])
+        near = np.union1d(near, label[one : one + 1])
+        if len(near) > 1:
+            out += [(int(names[x]), int(names[near[0]])) for x in near[1:]]
+            parent[np.isin(parent, near)] = near[0]
+    return out
+
+
+def _meeting_links(width: int, cross: bool):
+    """Rows (meeting, node, group, loose, text) sorted by meeting and node; yields links that span the groups found.
+
+    Texts of a meeting have no groups yet, or, with ``cross``, only links between their groups are wanted.
+    """
 
-    def links(keys: list[int], sets: list[np.ndarray]) -> tuple[list[int], list[int]]:
-        return keys, [keys[x] for x in similar_groups(sets)]
+    def links(nodes: list[int], groups: list[int], loose: list[bool], sets: list[np.ndarray]) -> list[tuple[int, int]]:
+        if cross:
+            return cross_links(sets, groups, loose)
+        return [(nodes[k], nodes[x]) for k, x in enumerate(similar_groups(sets)) if k != x]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cluster, keys, sets = None, [], []
-        for batch in byte_slices(batches, 2, 4 << 20):
-            u, v = [], []
-            for c, k, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), raw_texts(batch.column(2)), strict=True):
-                if c != cluster:
-                    if keys:
-                        a, b = links(keys, sets)
-                        u += a
-                        v += b
-                    cluster, keys, sets = c, [], []
-                keys.append(k)
-                sets.append(np.unique(shingle_hashes(raw, width)))
-            yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
-        if keys:
-            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in links(keys, sets)], ["u", "v"])
+        now, held = None, ([], [], [], [])
+        for batch in byte_slices(batches, 4, 4 << 20):
+            found = []
+            *columns, texts = batch.columns
+            for m, node, group, loose, raw in zip(*[c.to_pylist() for c in columns], raw_texts(texts), strict=True):
+                if m != now:
+                    found += links(*held) if held[0] else []
+                    now, held = m, ([], [], [], [])
+                for x, into in zip((node, group, loose, np.unique(shingle_hashes(raw, width))), held, strict=True):
+                    into.append(x)
+            yield _link_batch(found)
+        if held[0]:
+            yield _link_batch(links(*held))
 
     return run
 
 
+def _link_batch(found: list[tuple[int, int]]) -> pa.RecordBatch:
+    u, v = zip(*found, strict=True) if found else ((), ())
+    return pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
+
+
 def _small(ids: DataFrame) -> DataFrame:
     """A written table of ids, to be broadcast if its measured size allows it; beyond that Spark chooses the join."""
     return F.broadcast(ids) if ids.count() * 16 * len(ids.columns) <= IDS_BROADCAST else ids
 
 
-def _met_clusters(members: DataFrame, clusters: DataFrame, block: int) -> DataFrame:
-    """(meeting, node, text): a small cluster is one meeting; of a large one every two blocks are."""
-    sizes = clusters.groupBy("component").count()
-    large = materialise(sizes.where(F.col("count") > block).select(F.col("component").alias("c"), F.ceil(F.col("count") / block).cast("int").alias("blocks")), "large-clusters")
+def _blocks(size: Column, block: int) -> Column:
+    return F.ceil(size / block).cast("int")
+
+
+def _block_of(blocks: Column) -> Column:
+    return F.pmod(F.xxhash64("node"), blocks).cast("int")
+
+
+def _meet(rows: DataFrame, width: int, cross: bool) -> DataFrame:
+    """Links of rows (component, i, j, node, group, loose, text), each (component, i, j) a meeting."""
+    dealt = rows.select(F.xxhash64("component", "i", "j").alias("meeting"), "node", "group", "loose", "text")
+    return dealt.repartition("meeting").sortWithinPartitions("meeting", "node").mapInArrow(_meeting_links(width, cross), "u bigint, v bigint")
+
+
+def _exact_groups(members: DataFrame, clusters: DataFrame, width: int, block: int) -> DataFrame:
+    """(node, component): the groups within clusters, from texts ``members(component, node, text)``."""
+    sizes = clusters.groupBy("component").agg(F.count("*").alias("size"))
+    large = materialise(sizes.where(F.col("size") > block).select(F.col("component").alias("c"), _blocks(F.col("size"), block).alias("blocks")), "large-clusters")
+    plain = members.select("component", F.lit(0).alias("i"), F.lit(0).alias("j"), "node", F.lit(0).cast("bigint").alias("group"), F.lit(True).alias("loose"), "text")
     if large.isEmpty():
-        return members.select("component", F.lit(0).alias("i"), F.lit(0).alias("j"), "node", "text")
-    own = members.join(large, F.col("component") == F.col("c"), "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
-    own = own.withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    return own.select("component", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "node", "text")
+        return star_components(_meet(plain, width, False))
+    # a cluster's pivots are the least nodes of parts of it; they meet every block
+    least = clusters.join(_small(large), F.col("component") == F.col("c")).select("component", "node", "blocks")
+    picked = least.groupBy("component", "blocks", F.pmod(F.xxhash64("node", F.lit(1)), F.lit(PIVOTS)).alias("k")).agg(F.min("node").alias("p"))
+    pivots = _small(materialise(picked.select("p", F.col("blocks").alias("b")), "pivots"))
+    own = plain.join(_small(large), F.col("component") == F.col("c"), "left").withColumn("i", F.when(F.col("blocks").isNull(), 0).otherwise(_block_of(F.col("blocks"))))
+    own = own.join(pivots, F.col("node") == F.col("p"), "left")
+    seen = F.when(F.col("b").isNull(), F.array("i")).otherwise(F.sequence(F.lit(0), F.col("b") - 1))
+    first = _meet(own.withColumn("i", F.explode(seen)), width, False)
+    groups = materialise(star_components(first), "block-groups")
+
+    # the largest group of each large cluster is settled in itself; all other texts meet every text of the cluster
+    found = least.join(groups.withColumnRenamed("component", "g"), "node", "left").select("component", "node", F.coalesce("g", "node").alias("group"))
+    found = materialise(found, "found-groups")
+    count = found.groupBy("component", "group").agg(F.count("*").alias("n"))
+    main = count.groupBy("component").agg(F.max_by("group", F.struct("n", "group")).alias("main"), F.max("n").alias("m"), F.sum("n").alias("n"))
+    main = main.where(F.col("n") > F.col("m")).select(F.col("component").alias("c"), "main", _blocks(F.col("m"), block).alias("inner"), _blocks(F.col("n") - F.col("m"), block).alias("outer"))
+    main = materialise(main, "main-groups")
+    if main.isEmpty():
+        return groups
+    roles = found.join(_small(main), F.col("component") == F.col("c")).select(F.col("node").alias("p"), "group", (F.col("group") != F.col("main")).alias("loose"), "inner", "outer")
+    met = members.join(_small(materialise(roles, "roles")), F.col("node") == F.col("p"))
+    mine = F.when(F.col("loose"), _block_of(F.col("outer"))).otherwise(F.col("outer") + _block_of(F.col("inner")))
+    met = met.withColumn("mine", mine)
+    # a block of the main group meets all outer blocks; an outer block meets all blocks
+    others = F.sequence(F.lit(0), F.when(F.col("loose"), F.col("outer") + F.col("inner")).otherwise(F.col("outer")) - 1)
+    met = met.withColumn("other", F.explode(others)).select("component", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "node", "group", "loose", "text")
+    joined = star_components(_meet(met, width, True))
+    joined = joined.select(F.col("node").alias("g"), F.col("component").alias("to"))
+    every = groups.select("node", F.col("component").alias("group")).union(found.where(F.col("node") == F.col("group")).select("node", "group")).distinct()
+    return every.join(joined, F.col("group") == F.col("g"), "left").select("node", F.coalesce("to", "group").alias("component"))
 
 
 def near_copy_components(docs: DataFrame, width: int = 5, text: str = "text", key: str = "doc_id", block: int = BLOCK) -> DataFrame:
     """(key, digest, component, first): the words' digest, the group over texts of equal words and pairs similar by 0.8 and
     more, and the least (key, digest) of the group."""
     own = materialise(sketches(docs, width, text, key), "sketches")
-    texts = own.groupBy("digest").agg(F.min("key").alias("least"), F.first("bands").alias("bands"))
+    texts = own.groupBy("digest").agg(F.min("key").alias("least"), F.first("fp").alias("fp"), F.first("bands").alias("bands"))
     texts = materialise(texts.withColumn("root", F.monotonically_increasing_id()), "texts")
     rows = texts.select(F.explode("bands").alias("band"), "root").repartition("band").sortWithinPartitions("band", "root")
-    clusters = materialise(star_components(rows.mapInArrow(_bucket_links, "u bigint, v bigint")), "clusters")
+    # texts with one fingerprint are linked to the least of them, which stands for it in the Gray tree
+    coded = texts.where(F.size("bands") > 0).select("fp", "root")
+    codes = materialise(coded.groupBy("fp").agg(F.min("root").alias("root")), "codes")
+    same = coded.join(codes.select(F.col("fp").alias("__fp"), F.col("root").alias("v")), F.col("fp") == F.col("__fp")).where(F.col("root") != F.col("v")).select(F.col("root").alias("u"), "v")
+    links = similar_links(codes).union(same).union(rows.mapInArrow(_bucket_links, "u bigint, v bigint"))
+    clusters = materialise(star_components(links), "clusters")
     # one row of each text of a cluster: the least key's, by a digest that the sketch has already
     linked = materialise(texts.join(clusters, F.col("root") == F.col("node")).select(F.col("least").alias("__k"), F.col("digest").alias("__d"), "node", "component"), "linked")
     known = _small(linked)
     raw = docs.select(F.col(key).alias("key"), F.col(text).alias("text")).join(_small(materialise(linked.select(F.col("__k").alias("key")).distinct(), "members")), "key", "left_semi")
     seen = raw.mapInArrow(_digested, f"key {docs.schema[key].dataType.simpleString()}, digest binary, text string")
     members = seen.join(known, (F.col("key") == F.col("__k")) & (F.col("digest") == F.col("__d"))).select("component", "node", "text")
-    dealt = _met_clusters(members, clusters, block).withColumn("meeting", F.xxhash64("component", "i", "j"))
-    dealt = dealt.select("meeting", "node", "text").repartition("meeting").sortWithinPartitions("meeting", "node")
-    labels = star_components(dealt.mapInArrow(_cluster_links(width), "u bigint, v bigint"))
+    labels = _exact_groups(members, clusters, width, block)
     classes = texts.join(labels, F.col("root") == F.col("node"), "left").select("digest", "least", F.coalesce("component", "root").alias("component"))
     classes = materialise(classes, "classes")
     firsts = classes.groupBy("component").agg(F.min(F.struct(F.col("least").alias("key"), "digest")).alias("first"))

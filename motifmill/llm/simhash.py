@@ -67,7 +67,11 @@ def shingle_hashes(text: bytes, width: int) -> np.ndarray:
 
 def fingerprint(text: bytes, width: int) -> int:
     """64-bit SimHash of the ``width``-word shingles of a UTF-8 text."""
-    h = shingle_hashes(text, width)
+    return majority(shingle_hashes(text, width))
+
+
+def majority(h: np.ndarray) -> int:
+    """The bits that over half of 64-bit values have set."""
     ones = np.zeros(64, dtype=np.int64)
     for at in range(0, len(h), 4096):
         part = h[at : at + 4096]
