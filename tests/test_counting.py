@@ -46,3 +46,11 @@ def test_square_count_of_the_query_lists_nothing(spark):
 
     plan = queries()["count_square_cust_supp"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
     assert "collect_list" not in plan and "array_intersect" not in plan
+
+
+def test_bushy_patch_reads_each_node_from_what_was_written(spark):
+    """The plan at the root scans written matches and lists no unit again."""
+    from motifmill.queries import queries
+
+    plan = queries()["baseline_bushy_patch_square"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString()
+    assert "collect_list" not in plan
