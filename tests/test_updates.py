@@ -4,6 +4,7 @@ import pytest
 
 from motifmill import queries as Q
 from motifmill.operators import incremental as I
+from motifmill.operators.counting import listed_triangles
 from motifmill.plans.pattern import named
 
 #: Not read: the graph is made here.
@@ -43,3 +44,18 @@ def test_removed_matches_store_only_what_is_near_the_deleted_edges(spark, writte
     got = Q.removed_query(spark, SF, "apart", "triangle").collect()
     assert 17 <= len(got) == len(set(got)) <= 50
     assert len(written) == 1 and written[0] <= 9 * 50
+
+
+@pytest.mark.parametrize("query", [lambda spark: Q.update_store_query(spark, SF, "apart"), lambda spark: Q.updated_query(spark, SF, "apart", "triangle")])
+def test_updates_write_no_whole_store(spark, written, apart, query):
+    assert query(spark).count() > 0
+    assert all(rows < 2 * 900 for rows in written)
+
+
+def test_triangles_listed_in_one_slice_and_in_many(spark):
+    edges = [(u, v) for u in range(12) for v in range(u + 1, 12) if (u * v) % 5 != 2]
+    frame = spark.createDataFrame(edges, "u long, v long")
+    held = set(edges)
+    want = sorted((x, y, z) for x, y in edges for z in range(y + 1, 12) if (x, z) in held and (y, z) in held)
+    for most in (1 << 26, 20):
+        assert sorted(tuple(r) for r in listed_triangles(frame, most).collect()) == want
