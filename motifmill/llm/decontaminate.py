@@ -33,6 +33,8 @@ further columns are dropped (``drop_leaking`` keeps them).
 from __future__ import annotations
 
 import math
+from array import array
+from bisect import bisect_left
 from collections import Counter
 from collections.abc import Iterator
 
@@ -142,6 +144,9 @@ class BlockMaxIndex:
         self.block_of = self.item[starts] // ITEM_BLOCK
         self.block_start = np.append(starts, len(block))
         self.block_first = np.searchsorted(term[starts], np.arange(len(self.terms) + 1))
+        # the walk looks at one entry at a time, which plain arrays hand out faster
+        plain = lambda x: array("d" if x.dtype.kind == "f" else "q", x.tobytes())
+        self.walked = tuple(map(plain, (self.item, self.weight, self.first, self.bound, self.block_of, self.block_bound, self.block_first)))
 
     @staticmethod
     def _ranges(first: np.ndarray, terms: np.ndarray) -> np.ndarray:
@@ -171,12 +176,13 @@ class BlockMaxIndex:
     def walk(self, terms: list[int]) -> list[tuple[int, float]]:
         """(item, score) of all items from a score of 1 up, by pivots."""
         out = []
-        cursors = [[int(self.item[self.first[t]]), int(self.first[t]), t] for t in terms]  # item, place in the postings, term
+        items, weight, first, bound, block_of, block_bound, block_first = self.walked
+        cursors = [[items[first[t]], first[t], t] for t in terms]  # item, place in the postings, term
         while cursors:
             cursors.sort()
             total, pivot = 0.0, None
             for pivot, (item, _, t) in enumerate(cursors):
-                total += self.bound[t]
+                total += bound[t]
                 if total >= NEARLY:
                     break
             else:
@@ -184,12 +190,20 @@ class BlockMaxIndex:
             while pivot + 1 < len(cursors) and cursors[pivot + 1][0] == item:
                 pivot += 1
             block = item // ITEM_BLOCK
-            if sum(self._block_bound(t, block) for _, _, t in cursors[: pivot + 1]) < NEARLY:
+            total = 0.0
+            for _, _, t in cursors[: pivot + 1]:
+                b = block_first[t + 1]
+                at = bisect_left(block_of, block, block_first[t], b)
+                if at < b and block_of[at] == block:
+                    total += block_bound[at]
+            if total < NEARLY:
                 goal = (block + 1) * ITEM_BLOCK
                 if pivot + 1 < len(cursors):
                     goal = min(goal, cursors[pivot + 1][0])
             elif cursors[0][0] == item:
-                score = float(sum(self.weight[at] for _, at, _ in cursors[: pivot + 1]))
+                score = 0.0  # added up one by one: sum() of floats rounds in another way
+                for _, at, _ in cursors[: pivot + 1]:
+                    score += weight[at]
                 if score >= 1:
                     out.append((item, score))
                 goal = item + 1
@@ -197,17 +211,12 @@ class BlockMaxIndex:
                 goal = item
             for c in cursors[: pivot + 1]:
                 if c[0] < goal:
-                    end = int(self.first[c[2] + 1])
-                    c[1] += int(np.searchsorted(self.item[c[1] : end], goal))
-                    c[0] = int(self.item[c[1]]) if c[1] < end else -1
+                    end = first[c[2] + 1]
+                    c[1] = bisect_left(items, goal, c[1], end)
+                    c[0] = items[c[1]] if c[1] < end else -1
             cursors = [c for c in cursors if c[0] >= 0]
         return out
 
-    def _block_bound(self, term: int, block: int) -> float:
-        a, b = self.block_first[term], self.block_first[term + 1]
-        at = a + np.searchsorted(self.block_of[a:b], block)
-        return self.block_bound[at] if at < b and self.block_of[at] == block else 0.0
-
 
 class TermMemo(dict):
     """Number of the term of each word as written, -1 for words that no item has."""
