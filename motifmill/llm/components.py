@@ -2,7 +2,7 @@
 
 Each round moves every node's larger neighbours, then its smaller ones, to the
 least neighbour, until the edges are stars around the least node of each
-component. Before a round every task replaces the edges it holds, some at a time, by a
+component. Before the first round and after each every task replaces the edges it holds, some at a time, by a
 spanning star of each of their components. Rounds read and write the shared folder; nothing is collected but the
 count and checksum that tell whether a round changed anything.
 """
@@ -79,15 +79,15 @@ def star_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
 
     Loops, repeated and reversed edges are harmless; a node that only has loops is left out.
     """
-    now = materialise(_stars(edges.where("u <> v").select("u", "v")).distinct(), "edges")
+    # the exchange of distinct parts this worker from the one that has made the links: a task holds one at a time
+    now = materialise(_stars(edges.where("u <> v").select("u", "v").distinct()), "edges")
     state = _state(now)
     for _ in range(max_rounds):
-        now = _stars(now)
         both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         large = _least(both).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         found = _least(large)
         small = found.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(found.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
-        now = materialise(small, "edges")
+        now = materialise(_stars(small), "edges")  # once a round: the next one reads its edges several times
         before, state = state, _state(now)
         if state == before:
             break
